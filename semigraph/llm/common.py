@@ -74,16 +74,20 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], dict[str, list]],
 
 
 class Memo(dict):
-    """A bounded cache of a function of short strings; longer keys are computed each time."""
+    """A bounded cache of a function of short strings, in two generations: what is asked for again while
+    a generation fills is kept over into the next. Longer keys are computed each time."""
 
     def __init__(self, fn, entries: int = 300_000, longest: int = 64):
         super().__init__()
-        self.fn, self.entries, self.longest = fn, entries, longest
+        self.fn, self.entries, self.longest, self.older = fn, entries, longest, {}
 
     def __missing__(self, key):
-        value = self.fn(key)
+        value = self.older.get(key)
+        if value is None:
+            value = self.fn(key)
         if len(key) <= self.longest:
             if len(self) >= self.entries:
+                self.older = dict(self)
                 self.clear()
             self[key] = value
         return value
