@@ -124,7 +124,7 @@ def _neighbours(forest: DataFrame, parts: int) -> DataFrame:
 
         def rim(tree, label, rid, side):
             n = len(rid)
-            return rows(1, n, a=pa.array(rid, pa.int64()), tree=pa.array(tree, pa.int32()), label=pa.array([x[:MIN_DEPTH].tobytes() for x in label], pa.binary()), part=pa.array(np.full(n, part), pa.int32()), at=pa.array(np.full(n, side), pa.int32()))
+            return rows(1, n, a=pa.array(rid, pa.int64()), tree=pa.array(tree, pa.int32()), label=pa.array([x[:MIN_DEPTH].astype(">u4").tobytes() for x in label], pa.binary()), part=pa.array(np.full(n, part), pa.int32()), at=pa.array(np.full(n, side), pa.int32()))
 
         for batch in batches:
             if not batch.num_rows:
@@ -151,7 +151,7 @@ def _neighbours(forest: DataFrame, parts: int) -> DataFrame:
                 else:
                     keys = []
                     for at in second:
-                        key = (int(tree[at]), label[at, :MIN_DEPTH].tobytes())
+                        key = (int(tree[at]), label[at, :MIN_DEPTH].astype(">u4").tobytes())
                         if key != region:
                             region = key
                             keys.append(key)
