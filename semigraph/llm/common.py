@@ -86,12 +86,16 @@ class Memo(dict):
         if value is None:
             value = self.fn(key)
         if len(key) <= self.longest:
-            if len(self) >= self.entries:
-                self.older = dict(self)
-                self.clear()
+            self.turn()
             self[key] = value
         return value
 
+    def turn(self) -> None:
+        """Starts a generation if this one is full."""
+        if len(self) >= self.entries:
+            self.older = dict(self)
+            self.clear()
+
 
 #: Fixed: the code points of Unicode's White_Space property, for a character class.
 WHITE_SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
