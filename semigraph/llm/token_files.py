@@ -133,7 +133,8 @@ class WordEncoder:
         lists = [self.words(t) for t in texts]
         memo = self.memo
         memo.turn()
-        self._learn(set().union(*lists) - memo.keys() - memo.older.keys())
+        older = memo.older
+        self._learn({w for w in set().union(*lists) if w not in memo and w not in older})
         return [b"".join([memo[w] for w in words]) for words in lists]
 
     def packed(self, text: str) -> bytes:
