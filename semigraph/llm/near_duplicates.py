@@ -27,9 +27,12 @@ from .common import Memo, bounded_batches, kept_table, map_batches, shuffle_part
 
 SHINGLE = 5
 HASHES, TREES, DEPTH, MIN_DEPTH = 96, 20, 8, 3
-NEIGHBOURS = 2
+NEIGHBOURS = 3
 #: Below this estimate (4.5 deviations under 0.75) a candidate is not worth an exact look.
 LEAST_ESTIMATE = 0.55
+#: Crowded regions use a longer signature of single bytes; again 4.5 deviations under 0.75.
+WIDE = 1024
+LEAST_WIDE = 0.69
 BLOCK = 1024
 BROADCAST_IDS = 1_000_000
 
@@ -37,6 +40,7 @@ _r = np.random.default_rng(20240229)
 _ODD = _r.integers(0, 1 << 63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _ADD = _r.integers(0, 1 << 63, HASHES, dtype=np.uint64)
 _STEP = _r.integers(0, 1 << 63, SHINGLE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_WIDE_ODD = _r.integers(0, 1 << 63, WIDE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: The first four coordinates of each tree are its own, so that shallow prefixes are independent.
 _COORDINATES = [[4 * t + i for i in range(4)] + _r.permutation([c for c in range(HASHES) if c // 4 != t])[: DEPTH - 4].tolist() for t in range(TREES)]
 
@@ -80,6 +84,14 @@ def signature(hashes: np.ndarray) -> np.ndarray:
     return (least >> np.uint64(32)).astype(">u4")
 
 
+def wide_signature(hashes: np.ndarray) -> np.ndarray:
+    """One byte of each of WIDE minhash values: a finer estimate for crowded regions."""
+    least = np.full(WIDE, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(hashes), 512):
+        np.minimum(least, (hashes[at : at + 512][None, :] * _WIDE_ODD[:, None]).min(axis=1), out=least)
+    return (_mix(least) >> np.uint64(56)).astype(np.uint8)
+
+
 def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
         return False
@@ -267,21 +279,22 @@ def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
     pairs = near.filter("kind = 0").select("a", "b").unionByName(over).distinct()
     pending = kept_table(spark, _estimate(pairs, reps), "pending")
 
-    def sets_of(pairs: DataFrame) -> DataFrame:
-        ids = kept_table(spark, pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ids")
+    def sets_of(ids: DataFrame) -> DataFrame:
+        ids = kept_table(spark, ids.select(F.col(ids.columns[0]).alias("doc_id")).distinct(), "ids")
         # Ids are broadcast up to a checked number; beyond it the texts are shuffled to them.
         ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
         texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi")
         return kept_table(spark, map_batches(texts, lambda b: {"rid": b.column(0), "shingles": [shingles(t).tobytes() for t in b.column(1).to_pylist()]}, "rid long, shingles binary").dropDuplicates(["rid"]), "sets")
 
-    label = None if pending.isEmpty() else _settle(spark, pending, sets_of(pending), None, percent, (2, 16, None))
+    label = None if pending.isEmpty() else _settle(spark, pending, sets_of(pending.select("a").union(pending.select("b"))), None, percent, (2, 16, None))
     crowded = near.filter("kind = 2").select("tree", "label").distinct()
     if not crowded.isEmpty():
-        rest = kept_table(spark, _across(forest, crowded, reps, label), "across")
-        rest = rest.distinct().join(pending.select("a", "b"), ["a", "b"], "left_anti").groupBy("a", "b").agg(F.max("estimate").alias("estimate"))
+        mixed = kept_table(spark, _mixed_regions(forest, crowded, label), "crowded")
+        sets = sets_of(mixed.select("rid"))
+        rest = _across(mixed, sets).join(pending.select("a", "b"), ["a", "b"], "left_anti").groupBy("a", "b").agg(F.max("estimate").alias("estimate"))
         rest = kept_table(spark, rest, "pending")
         if not rest.isEmpty():
-            label = _settle(spark, rest, sets_of(rest), label, percent, (4, None))
+            label = _settle(spark, rest, sets, label, percent, (4, None))
     of_class = classes
     if label is not None:
         of_class = classes.join(label.select(F.col("node").alias("rid"), "label"), "rid", "left").select("h1", "h2", "n_shingles", F.coalesce("label", "rid").alias("rid"))
@@ -290,16 +303,21 @@ def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
 
 
-def _across(forest: DataFrame, crowded: DataFrame, reps: DataFrame, label: DataFrame | None) -> DataFrame:
-    """Pairs of crowded regions between components: rows outside the region's largest component meet
-    every row of the region, block by block; estimates are taken in the block."""
-    region = F.substring("label", 1, 4 * MIN_DEPTH)
-    rows = forest.select("tree", region.alias("label"), "rid").join(crowded, ["tree", "label"]).withColumn("region", F.xxhash64("tree", "label")).select("region", "rid")
+def _mixed_regions(forest: DataFrame, crowded: DataFrame, label: DataFrame | None) -> DataFrame:
+    """(region, rid, of, largest, members): rows of the crowded regions that hold several components."""
+    prefix = F.substring("label", 1, 4 * MIN_DEPTH)
+    rows = forest.select("tree", prefix.alias("label"), "rid").join(crowded, ["tree", "label"]).withColumn("region", F.xxhash64("tree", "label")).select("region", "rid")
     rows = rows.join(label.select(F.col("node").alias("rid"), F.col("label").alias("of")), "rid", "left").withColumn("of", F.coalesce("of", "rid")) if label is not None else rows.withColumn("of", F.col("rid"))
-    rows = kept_table(reps.sparkSession, rows, "crowded")
     sizes = rows.groupBy("region", "of").count()
     facts = sizes.groupBy("region").agg(F.max_by("of", F.struct("count", "of")).alias("largest"), F.sum("count").alias("members"), F.count(F.lit(1)).alias("kinds")).filter("kinds > 1")
-    mixed = rows.join(facts, "region").join(reps, "rid")
+    return rows.join(facts.drop("kinds"), "region")
+
+
+def _across(mixed: DataFrame, sets: DataFrame) -> DataFrame:
+    """Pairs of crowded regions between components: rows outside the region's largest component meet
+    every row of the region, block by block; finer estimates are taken in the block."""
+    wide = map_batches(sets, lambda b: {"rid": b.column(0), "sig": [wide_signature(np.frombuffer(x, np.uint64)).tobytes() for x in b.column(1).to_pylist()]}, "rid long, sig binary")
+    mixed = mixed.join(wide, "rid")
     blocks = F.ceil(F.col("members") / BLOCK).cast("int")
     mixed = mixed.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")).withColumn("minor", F.col("of") != F.col("largest"))
     everywhere = F.when(F.col("minor"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array("own"))
@@ -309,7 +327,7 @@ def _across(forest: DataFrame, crowded: DataFrame, reps: DataFrame, label: DataF
         block = key[1].as_py()
         rid, of = rows.column("rid").to_numpy(), rows.column("of").to_numpy()
         here, minor = rows.column("own").to_numpy() == block, rows.column("minor").to_numpy(zero_copy_only=False)
-        sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), ">u4").reshape(-1, HASHES).astype(np.uint32)
+        sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint8).reshape(-1, WIDE)
         own = np.flatnonzero(here)
         out = [[], [], []]
         for i in np.flatnonzero(minor):
@@ -317,8 +335,9 @@ def _across(forest: DataFrame, crowded: DataFrame, reps: DataFrame, label: DataF
             # Of two minor rows the one with the smaller id asks.
             others = others[~minor[others] | (rid[others] > rid[i])]
             if len(others):
-                alike = (sig[others] == sig[i]).mean(axis=1)
-                ok = alike >= LEAST_ESTIMATE
+                # Unequal minima share their byte once in 256 times.
+                alike = ((sig[others] == sig[i]).mean(axis=1) - 1 / 256) / (1 - 1 / 256)
+                ok = alike >= LEAST_WIDE
                 out[0].append(np.minimum(rid[others[ok]], rid[i]))
                 out[1].append(np.maximum(rid[others[ok]], rid[i]))
                 out[2].append(alike[ok])

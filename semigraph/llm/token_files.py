@@ -110,7 +110,7 @@ class WordEncoder:
         memo, stops, stopped, plain = self.memo, self.STOPS, [], set()
         for word in fresh:
             core = word.rstrip(stops)
-            if core.isalpha():
+            if core.lower().isalpha():
                 if core is not word and core != word:
                     stopped.append((word, core))
                 if core not in memo:
@@ -134,8 +134,22 @@ class WordEncoder:
         memo = self.memo
         memo.turn()
         older = memo.older
-        self._learn({w for w in set().union(*lists) if w not in memo and w not in older})
-        return [b"".join([memo[w] for w in words]) for words in lists]
+        # The large cache is asked once for each different word of the batch.
+        here: dict[str, bytes] = {}
+        fresh = set()
+        for word in set().union(*lists):
+            ids = memo.get(word)
+            if ids is None and (ids := older.get(word)) is not None:
+                memo[word] = ids
+            if ids is None:
+                fresh.add(word)
+            else:
+                here[word] = ids
+        self._learn(fresh)
+        for word in fresh:
+            here[word] = memo[word]
+        get = here.__getitem__
+        return [b"".join(map(get, words)) for words in lists]
 
     def packed(self, text: str) -> bytes:
         return self.packed_batch([text])[0]
