@@ -27,7 +27,7 @@ from .common import Memo, bounded_batches, kept_table, map_batches, shuffle_part
 
 SHINGLE = 5
 HASHES, TREES, DEPTH, MIN_DEPTH = 96, 20, 8, 3
-NEIGHBOURS = 3
+NEIGHBOURS = 2
 #: Below this estimate (4.5 deviations under 0.75) a candidate is not worth an exact look.
 LEAST_ESTIMATE = 0.55
 #: Crowded regions use a longer signature of single bytes; again 4.5 deviations under 0.75.

@@ -26,6 +26,7 @@ from .common import Memo, bounded_batches, kept_table, shuffle_partitions
 CHUNK = 8
 BLOCK = 512  # bits that one entry of a rank directory covers
 MAGIC = b"DAC1"
+GATHER_CHARS = 4_000_000
 
 
 def dac_encode(ids: np.ndarray) -> bytes:
@@ -96,13 +97,23 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = t = Tokenizer.from_file(path)
-        self.words = re.compile(r"[^ \t\n\r]+").findall
-        self.memo = Memo(self._ids, 400_000)
+        self.plain_words = re.compile(r"[^ \t\n\r]+").findall
+        self.special = sorted(t.get_added_tokens_decoder().values(), key=str)
+        self.memo = Memo(self._ids, 500_000)
         vocabulary = t.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         for token, i in vocabulary.items():
             self.ends[i] = token.endswith("</w>")
 
+    def _words(self, text: str) -> list[str]:
+        # Python's blanks are the library's but for the four separators.
+        if "\x1c" in text or "\x1d" in text or "\x1e" in text or "\x1f" in text:
+            return self.plain_words(text)
+        # Case is dropped anyway; special strings count in their own case only.
+        if text.isascii() and not any(x.content.lower() in text.lower() for x in self.special):
+            text = text.lower()
+        return text.split()
+
     def _ids(self, word: str) -> bytes:
         return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
 
@@ -130,7 +141,7 @@ class WordEncoder:
             memo[word] = memo[core] + memo[word[len(core) :]]
 
     def packed_batch(self, texts: list[str]) -> list[bytes]:
-        lists = [self.words(t) for t in texts]
+        lists = [self._words(t) for t in texts]
         memo = self.memo
         memo.turn()
         older = memo.older
@@ -178,9 +189,22 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int, segment
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seq], pa.int32()), pa.array([held], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([lengths], pa.list_(pa.int32())), pa.array([dac_encode(flat)], pa.binary())], names=["part", "seq", "n_tokens", "doc_ids", "lengths", "payload"])
 
         pack = encoder(tokenizer_path).packed_batch
-        for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            for doc, packed in zip(batch.column(0).to_pylist(), pack(texts), strict=True):
+
+        def gathered():
+            """Documents of several batches together, up to a bound of characters: fewer cache lookups."""
+            docs, texts, size = [], [], 0
+            for batch in batches:
+                docs += batch.column(0).to_pylist()
+                more = [t or "" for t in batch.column(1).to_pylist()]
+                texts += more
+                size += sum(map(len, more))
+                if size >= GATHER_CHARS:
+                    yield docs, texts
+                    docs, texts, size = [], [], 0
+            yield docs, texts
+
+        for docs_now, texts in gathered():
+            for doc, packed in zip(docs_now, pack(texts), strict=True):
                 packed += end
                 ids.append(doc)
                 lengths.append(len(packed) // 4)
