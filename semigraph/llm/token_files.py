@@ -98,7 +98,7 @@ class WordEncoder:
 
         self.tokenizer = t = Tokenizer.from_file(path)
         self.plain_words = re.compile(r"[^ \t\n\r]+").findall
-        self.special = sorted(t.get_added_tokens_decoder().values(), key=str)
+        self.special = [x.content.lower() for x in t.get_added_tokens_decoder().values()]
         self.memo = Memo(self._ids, 500_000)
         vocabulary = t.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
@@ -110,8 +110,10 @@ class WordEncoder:
         if "\x1c" in text or "\x1d" in text or "\x1e" in text or "\x1f" in text:
             return self.plain_words(text)
         # Case is dropped anyway; special strings count in their own case only.
-        if text.isascii() and not any(x.content.lower() in text.lower() for x in self.special):
-            text = text.lower()
+        if text.isascii():
+            low = text.lower()
+            if not any(x in low for x in self.special):
+                text = low
         return text.split()
 
     def _ids(self, word: str) -> bytes:
