@@ -10,6 +10,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -82,13 +83,23 @@ class PrefixBpe:
             return [token]
         return PrefixTable(self, data).ids()
 
-    def _unit(self, unit: str) -> bytes:
+    def _unit(self, unit: str) -> tuple[bytes, bytes]:
+        """A unit's ids and their bytes again: both are joined over a text's units."""
         ids = [i for m in self.matches(unit) for i in self.encode_match(m.encode())]
-        return np.array(ids, "<u4").tobytes()
+        return array("I", ids).tobytes(), self.decode(ids)
 
     def encode_packed(self, text: str) -> bytes:
         memo = self.memo
-        return b"".join([memo[u] for u in self.units(text)])
+        return b"".join([memo[u][0] for u in self.units(text)])
+
+    def round_trip(self, texts: list[str]) -> list[tuple[bytes, bytes]]:
+        """Packed ids and decoded bytes of each text; the cache is asked once for each unit of the batch."""
+        lists = [self.units(t) for t in texts]
+        memo = self.memo
+        ids, data = {}, {}
+        for unit in set().union(*lists):
+            ids[unit], data[unit] = memo[unit]
+        return [(b"".join(map(ids.__getitem__, x)), b"".join(map(data.__getitem__, x))) for x in lists]
 
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_packed(text), "<u4").tolist()
@@ -146,14 +157,12 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id_col: str
     def run(batch):
         bpe = coder(ranks_path, pattern)
         out = {id_col: batch.column(0), "n_tokens": [], "ids_sha256": [], "decoded_sha256": []} | ({"ids": []} if with_ids else {})
-        for text in batch.column(1).to_pylist():
-            packed = bpe.encode_packed(text or "")
-            ids = np.frombuffer(packed, "<u4").tolist()
-            out["n_tokens"].append(len(ids))
+        for packed, decoded in bpe.round_trip([t or "" for t in batch.column(1).to_pylist()]):
+            out["n_tokens"].append(len(packed) // 4)
             out["ids_sha256"].append(hashlib.sha256(packed).hexdigest())
-            out["decoded_sha256"].append(hashlib.sha256(bpe.decode(ids)).hexdigest())
+            out["decoded_sha256"].append(hashlib.sha256(decoded).hexdigest())
             if with_ids:
-                out["ids"].append(ids)
+                out["ids"].append(np.frombuffer(packed, "<i4"))
         return out
 
     rows = docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).alias("text"))
