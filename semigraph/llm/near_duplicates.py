@@ -289,12 +289,19 @@ def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
     label = None if pending.isEmpty() else _settle(spark, pending, sets_of(pending.select("a").union(pending.select("b"))), None, percent, (2, 16, None))
     crowded = near.filter("kind = 2").select("tree", "label").distinct()
     if not crowded.isEmpty():
-        mixed = kept_table(spark, _mixed_regions(forest, crowded, label), "crowded")
-        sets = sets_of(mixed.select("rid"))
-        rest = _across(mixed, sets).join(pending.select("a", "b"), ["a", "b"], "left_anti").groupBy("a", "b").agg(F.max("estimate").alias("estimate"))
-        rest = kept_table(spark, rest, "pending")
-        if not rest.isEmpty():
-            label = _settle(spark, rest, sets, label, percent, (4, None))
+        wide = sets = None
+        # First the likeliest few of each class, which joins most of what can be joined; then all that is left.
+        for few in (4, None):
+            mixed = kept_table(spark, _mixed_regions(forest, crowded, label), "crowded")
+            if mixed.isEmpty():
+                break
+            if wide is None:
+                sets = sets_of(mixed.select("rid"))
+                wide = kept_table(spark, map_batches(sets, lambda b: {"rid": b.column(0), "sig": [wide_signature(np.frombuffer(x, np.uint64)).tobytes() for x in b.column(1).to_pylist()]}, "rid long, sig binary"), "wide")
+            rest = _across(mixed, wide, few).join(pending.select("a", "b"), ["a", "b"], "left_anti").groupBy("a", "b").agg(F.max("estimate").alias("estimate"))
+            rest = kept_table(spark, rest, "pending")
+            if not rest.isEmpty():
+                label = _settle(spark, rest, sets, label, percent, (None,))
     of_class = classes
     if label is not None:
         of_class = classes.join(label.select(F.col("node").alias("rid"), "label"), "rid", "left").select("h1", "h2", "n_shingles", F.coalesce("label", "rid").alias("rid"))
@@ -313,10 +320,10 @@ def _mixed_regions(forest: DataFrame, crowded: DataFrame, label: DataFrame | Non
     return rows.join(facts.drop("kinds"), "region")
 
 
-def _across(mixed: DataFrame, sets: DataFrame) -> DataFrame:
+def _across(mixed: DataFrame, wide: DataFrame, few: int | None) -> DataFrame:
     """Pairs of crowded regions between components: rows outside the region's largest component meet
-    every row of the region, block by block; finer estimates are taken in the block."""
-    wide = map_batches(sets, lambda b: {"rid": b.column(0), "sig": [wide_signature(np.frombuffer(x, np.uint64)).tobytes() for x in b.column(1).to_pylist()]}, "rid long, sig binary")
+    every row of the region, block by block; finer estimates are taken in the block. few: only so many
+    of the likeliest per row and block."""
     mixed = mixed.join(wide, "rid")
     blocks = F.ceil(F.col("members") / BLOCK).cast("int")
     mixed = mixed.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")).withColumn("minor", F.col("of") != F.col("largest"))
@@ -337,7 +344,9 @@ def _across(mixed: DataFrame, sets: DataFrame) -> DataFrame:
             if len(others):
                 # Unequal minima share their byte once in 256 times.
                 alike = ((sig[others] == sig[i]).mean(axis=1) - 1 / 256) / (1 - 1 / 256)
-                ok = alike >= LEAST_WIDE
+                ok = np.flatnonzero(alike >= LEAST_WIDE)
+                if few is not None and len(ok) > few:
+                    ok = ok[np.argpartition(-alike[ok], few)[:few]]
                 out[0].append(np.minimum(rid[others[ok]], rid[i]))
                 out[1].append(np.maximum(rid[others[ok]], rid[i]))
                 out[2].append(alike[ok])
