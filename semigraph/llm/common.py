@@ -9,6 +9,7 @@ from collections.abc import Callable
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Rows of one Arrow batch that hold texts; bounds a Python worker's memory with long texts.
@@ -73,6 +74,18 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], dict[str, list]],
     return df.mapInArrow(run, struct)
 
 
+def part_of(bounds: list[int]):
+    """Number of bounds at or below doc_id, by a search in two levels."""
+    if not bounds:
+        return F.lit(0)
+    step = max(1, int(len(bounds) ** 0.5))
+    groups = [bounds[i : i + step] for i in range(0, len(bounds), step)]
+    above = F.size(F.filter(F.array(*[F.lit(g[0]) for g in groups]), lambda b: b <= F.col("doc_id")))
+    inner = F.element_at(F.array(*[F.array(*[F.lit(b) for b in g]) for g in groups]), above)
+    inside = F.size(F.filter(inner, lambda b: b <= F.col("doc_id")))
+    return F.when(F.col("doc_id").isNull() | (F.col("doc_id") < bounds[0]), F.lit(0)).otherwise((above - 1) * step + inside)
+
+
 class Memo(dict):
     """A bounded cache of a function of short strings, in two generations: what is asked for again while
     a generation fills is kept over into the next. Longer keys are computed each time."""

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, shuffle_partitions
+from .common import bounded_batches, part_of, shuffle_partitions
 
 SKETCH = 64
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -97,18 +97,6 @@ def compare_pair(text: str, following: str) -> tuple[str, list[int], list[int]]:
     return edited, sketch(text, ends), sketch(edited, more_ends)
 
 
-def _part_of(bounds: list[int]):
-    """Number of bounds at or below doc_id, by a search in two levels."""
-    if not bounds:
-        return F.lit(0)
-    step = max(1, int(len(bounds) ** 0.5))
-    groups = [bounds[i : i + step] for i in range(0, len(bounds), step)]
-    above = F.size(F.filter(F.array(*[F.lit(g[0]) for g in groups]), lambda b: b <= F.col("doc_id")))
-    inner = F.element_at(F.array(*[F.array(*[F.lit(b) for b in g]) for g in groups]), above)
-    inside = F.size(F.filter(inner, lambda b: b <= F.col("doc_id")))
-    return F.when(F.col("doc_id").isNull() | (F.col("doc_id") < bounds[0]), F.lit(0)).otherwise((above - 1) * step + inside)
-
-
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
     """Fingerprints of each text, of its edited text, and their likeness; see the module's rules."""
     spark = docs.sparkSession
@@ -118,7 +106,7 @@ def fingerprint_documents(docs: DataFrame) -> DataFrame:
     # Bounds and the first id of each part: as many numbers as parts, from the ids alone.
     cuts = rows.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], 20 * parts)).first()[0] if parts > 1 else None
     bounds = sorted(set(cuts or []))
-    part = _part_of(bounds).cast("int")
+    part = part_of(bounds).cast("int")
     firsts = sorted((r[0], r[1]) for r in rows.select("doc_id", part.alias("part")).groupBy("part").agg(F.min(F.struct(F.col("doc_id").isNotNull().alias("has"), F.col("doc_id").alias("doc_id")))["doc_id"].alias("first")).collect())
     # The first document of each part also closes the part before it; that of the first part closes the last.
     closes = [(first, firsts[i - 1][0]) for i, (_, first) in enumerate(firsts)]

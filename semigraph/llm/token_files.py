@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Memo, bounded_batches, kept_table, shuffle_partitions
+from .common import Memo, bounded_batches, kept_table, part_of, shuffle_partitions
 
 CHUNK = 8
 BLOCK = 512  # bits that one entry of a rank directory covers
@@ -99,7 +99,7 @@ class WordEncoder:
         self.tokenizer = t = Tokenizer.from_file(path)
         self.plain_words = re.compile(r"[^ \t\n\r]+").findall
         self.special = [x.content.lower() for x in t.get_added_tokens_decoder().values()]
-        self.memo = Memo(self._ids, 500_000)
+        self.memo = Memo(self._ids, 600_000)
         vocabulary = t.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         for token, i in vocabulary.items():
@@ -220,7 +220,11 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int, segment
             yield segment()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    ordered = rows.repartitionByRange(shuffle_partitions(spark), "doc_id").sortWithinPartitions("doc_id", "text")
+    # Ranges are cut by the ids alone, so texts are read once and go straight to their partition.
+    parts = shuffle_partitions(spark)
+    cuts = rows.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], 20 * parts)).first()[0] if parts > 1 else None
+    placed = rows.withColumn("place", part_of(sorted(set(cuts or []))).cast("int"))
+    ordered = placed.repartitionById(parts, "place").sortWithinPartitions("doc_id", "text").select("doc_id", "text")
     return kept_table(spark, ordered.mapInArrow(run, SEGMENT), "tokens")
 
 
