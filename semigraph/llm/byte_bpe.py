@@ -11,7 +11,7 @@ import base64
 import hashlib
 import re
 from array import array
-from functools import lru_cache
+from functools import cached_property, lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -31,14 +31,13 @@ class PrefixBpe:
 
         self.ranks = ranks
         self.tokens: dict[int, bytes] = {i: b for b, i in ranks.items()}
-        self.suffixes = {b[k:] for b in ranks for k in range(len(b))}
         self.longest = max(map(len, ranks))
-        self.beside: dict[tuple[int, int], bool] = {}
-        self.whole: dict[int, bool] = {}
+        self.beside: dict[int, bool] = {}
         self.matches = regex.compile(pattern.replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
         # White space after other text always starts a new match, so texts may be cut there.
         self.units = re.compile(f"[{WHITE_SPACE}]*[^{WHITE_SPACE}]+|[{WHITE_SPACE}]+").findall
-        self.memo = Memo(self._unit)
+        self.by_match = Memo(self._match, 200_000)
+        self.memo = Memo(self._unit, 100_000)
 
     def merged(self, data: bytes) -> list[int]:
         """Plain merging by rank, for short strings: the test of compatibility."""
@@ -51,42 +50,53 @@ class PrefixBpe:
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
         return [self.ranks[p] for p in parts]
 
-    def _stays(self, token: int) -> bool:
-        known = self.whole.get(token)
-        if known is None:
-            known = self.whole[token] = self.merged(self.tokens[token]) == [token]
-        return known
+    @cached_property
+    def endings(self):
+        """Finds, longest first, every token that ends at a byte and that merging alone gives whole."""
+        import ahocorasick
+
+        found = ahocorasick.Automaton()
+        for data, token in self.ranks.items():
+            if self.merged(data) == [token]:
+                found.add_word(data.decode("latin-1"), (len(data), token))
+        found.make_automaton()
+        return found
 
     def _beside(self, left: int, right: int) -> bool:
-        known = self.beside.get((left, right))
+        key = left << 32 | right
+        known = self.beside.get(key)
         if known is None:
-            if len(self.beside) > 2_000_000:
+            if len(self.beside) > 500_000:
                 self.beside.clear()
-            known = self.beside[left, right] = self.merged(self.tokens[left] + self.tokens[right]) == [left, right]
+            known = self.beside[key] = self.merged(self.tokens[left] + self.tokens[right]) == [left, right]
         return known
 
-    def last_token(self, data: bytes, end: int, last: list[int]) -> int:
-        found = []
-        start = end - 1
-        while start >= 0 and (part := data[start:end]) in self.suffixes:
-            token = self.ranks.get(part)
-            if token is not None:
-                found.append((start, token))
-            start -= 1
-        for start, token in reversed(found):
-            if self._stays(token) and (start == 0 or self._beside(last[start], token)):
-                return token
-        raise ValueError("a byte has no token in this vocabulary")
+    def extend(self, data: bytes, begin: int, last: list[int]) -> None:
+        """Fills last (whose entries up to begin stand) with the last token of each longer prefix of data."""
+        last.extend([-1] * (len(data) - begin))
+        at = max(0, begin - self.longest)
+        beside = self._beside
+        for end, (length, token) in self.endings.iter(data[at:].decode("latin-1")):
+            end += at + 1
+            if end > begin and last[end] < 0:
+                start = end - length
+                if start == 0 or start > 0 and beside(last[start], token):
+                    last[end] = token
+        if -1 in last[begin + 1 :]:
+            raise ValueError("a byte has no token in this vocabulary")
 
     def encode_match(self, data: bytes) -> list[int]:
         if (token := self.ranks.get(data)) is not None:
             return [token]
         return PrefixTable(self, data).ids()
 
+    def _match(self, match: str) -> bytes:
+        return array("I", self.encode_match(match.encode())).tobytes()
+
     def _unit(self, unit: str) -> tuple[bytes, bytes]:
         """A unit's ids and their bytes again: both are joined over a text's units."""
-        ids = [i for m in self.matches(unit) for i in self.encode_match(m.encode())]
-        return array("I", ids).tobytes(), self.decode(ids)
+        packed = b"".join([self.by_match[m] for m in self.matches(unit)])
+        return packed, self.decode(np.frombuffer(packed, "<u4").tolist())
 
     def encode_packed(self, text: str) -> bytes:
         memo = self.memo
@@ -118,24 +128,24 @@ class PrefixTable:
     def append(self, more: bytes) -> None:
         start = len(self.data)
         self.data += more
-        for end in range(start + 1, len(self.data) + 1):
-            self.last.append(self.bpe.last_token(self.data, end, self.last))
+        self.bpe.extend(self.data, start, self.last)
 
     def replace(self, start: int, stop: int, new: bytes) -> int:
         """Replaces data[start:stop]; returns how many prefixes were computed anew."""
-        old, grown = self.last, len(new) - (stop - start)
+        old, grown, span = self.last, len(new) - (stop - start), self.bpe.longest
         self.data = self.data[:start] + new + self.data[stop:]
         self.last = old[: start + 1]
-        same = 0
-        for end in range(start + 1, len(self.data) + 1):
-            token = self.bpe.last_token(self.data, end, self.last)
-            self.last.append(token)
-            # Behind the edit, a run of equal entries as long as a token fixes all that follow.
-            same = same + 1 if end - grown > stop and old[end - grown] == token else 0
-            if same > self.bpe.longest:
-                self.last += old[end - grown + 1 :]
-                return end - start
-        return len(self.data) - start
+        size, done = len(self.data), start
+        while done < size:
+            # A window at a time; behind the edit, equal entries over a token's length fix all that follow.
+            upto = min(size, max(done, start + len(new)) + 2 * span)
+            self.bpe.extend(self.data[:upto], done, self.last)
+            done = upto
+            tail = range(done - span, done + 1)
+            if done < size and tail[0] > start + len(new) and all(self.last[e] == old[e - grown] for e in tail):
+                self.last += old[done - grown + 1 :]
+                break
+        return done - start
 
     def ids(self) -> list[int]:
         out, at = [], len(self.data)
