@@ -19,11 +19,12 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Memo, bounded_batches, kept_table, map_batches, shuffle_partitions
+from .common import bounded_batches, kept_table, map_batches, shuffle_partitions
 
 SHINGLE = 5
 HASHES, TREES, DEPTH, MIN_DEPTH = 96, 20, 8, 3
@@ -51,24 +52,13 @@ def _mix(h: np.ndarray) -> np.ndarray:
     return h ^ h >> np.uint64(31)
 
 
-def _word_hashes() -> Memo:
-    import xxhash
-
-    return Memo(xxhash.xxh3_64_intdigest)
-
-
-_WORDS: list[Memo] = []
-
-
 def shingles(text: str | None) -> np.ndarray:
     """The sorted 64-bit hashes of a text's shingle set."""
-    if not _WORDS:
-        _WORDS.append(_word_hashes())
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     n = len(words)
     if not n:
         return np.empty(0, np.uint64)
-    w = np.fromiter(map(_WORDS[0].__getitem__, words), np.uint64, n)
+    w = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, n)
     k = min(n, SHINGLE)
     h = np.full(n - k + 1, k, np.uint64)
     for i in range(k):
