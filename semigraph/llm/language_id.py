@@ -74,7 +74,7 @@ class LanguageModel:
     def __init__(self, texts: dict[str, str]):
         self.languages = sorted(texts)
         self.automata = [SuffixAutomaton(texts[x]) for x in self.languages]
-        self.memo = Memo(self._chunk, 200_000)
+        self.memo = Memo(self._chunk, 100_000)
         self.split = re.compile(r"[^ \n\t\r]+").findall
 
     def _chunk(self, chunk: str) -> tuple[int, ...]:

@@ -99,7 +99,7 @@ class WordEncoder:
         self.tokenizer = t = Tokenizer.from_file(path)
         self.plain_words = re.compile(r"[^ \t\n\r]+").findall
         self.special = [x.content.lower() for x in t.get_added_tokens_decoder().values()]
-        self.memo = Memo(self._ids, 600_000)
+        self.memo = Memo(self._ids, 450_000)
         vocabulary = t.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         for token, i in vocabulary.items():
