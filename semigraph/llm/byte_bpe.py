@@ -11,13 +11,13 @@ import base64
 import hashlib
 import re
 from array import array
-from functools import cached_property, lru_cache
+from functools import cached_property
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WHITE_SPACE, Memo, bounded_batches, map_batches
+from .common import WHITE_SPACE, Memo, bounded_batches, map_batches, resident
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -155,9 +155,8 @@ class PrefixTable:
         return out[::-1]
 
 
-@lru_cache(maxsize=2)
 def coder(path: str, pattern: str) -> PrefixBpe:
-    return PrefixBpe(load_ranks(path), pattern)
+    return resident(("bytes", path, pattern), lambda: PrefixBpe(load_ranks(path), pattern))
 
 
 def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:

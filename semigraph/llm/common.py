@@ -86,6 +86,17 @@ def part_of(bounds: list[int]):
     return F.when(F.col("doc_id").isNull() | (F.col("doc_id") < bounds[0]), F.lit(0)).otherwise((above - 1) * step + inside)
 
 
+_RESIDENT: dict = {}
+
+
+def resident(key, build: Callable):
+    """A worker process holds one model with its caches at a time, whatever stages it has served."""
+    if key not in _RESIDENT:
+        _RESIDENT.clear()
+        _RESIDENT[key] = build()
+    return _RESIDENT[key]
+
+
 class Memo(dict):
     """A bounded cache of a function of short strings, in two generations: what is asked for again while
     a generation fills is kept over into the next. Longer keys are computed each time."""

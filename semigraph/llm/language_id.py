@@ -12,13 +12,12 @@ prediction reads whole texts and nothing else. Repeated rows get the same answer
 from __future__ import annotations
 
 import re
-from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Memo, bounded_batches, map_batches
+from .common import Memo, bounded_batches, map_batches, resident
 
 LETTERS = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -74,7 +73,7 @@ class LanguageModel:
     def __init__(self, texts: dict[str, str]):
         self.languages = sorted(texts)
         self.automata = [SuffixAutomaton(texts[x]) for x in self.languages]
-        self.memo = Memo(self._chunk, 100_000)
+        self.memo = Memo(self._chunk, 200_000)
         self.split = re.compile(r"[^ \n\t\r]+").findall
 
     def _chunk(self, chunk: str) -> tuple[int, ...]:
@@ -96,9 +95,8 @@ class LanguageModel:
         return self.languages[order[0]], max(0.0, min(1.0, 1 - best / second)), best / letters
 
 
-@lru_cache(maxsize=2)
 def model_of(texts: tuple[tuple[str, str], ...]) -> LanguageModel:
-    return LanguageModel(dict(texts))
+    return resident(("languages", texts), lambda: LanguageModel(dict(texts)))
 
 
 def held_out(id_col: str = "doc_id"):

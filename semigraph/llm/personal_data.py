@@ -14,14 +14,13 @@ from __future__ import annotations
 import hashlib
 import random
 import re
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, map_batches
+from .common import bounded_batches, map_batches, resident
 from .sequence_tagger import KINDS, TAGS, TRIGGER, Tagger, classes_of, spans_of
 
 WINDOW, STRIDE, MARGIN = 64, 32, 24
@@ -234,11 +233,10 @@ def train(docs: DataFrame, sample_docs: int = 400, windows: int = 1500, hidden:
     return tagger.p, losses
 
 
-@lru_cache(maxsize=2)
 def _finder(key: str, hidden: int, packed: bytes) -> Finder:
     import pickle
 
-    return Finder(pickle.loads(packed), hidden)
+    return resident(("tagger", key), lambda: Finder(pickle.loads(packed), hidden))
 
 
 def _pack(weights: dict[str, np.ndarray]) -> tuple[str, int, bytes]:

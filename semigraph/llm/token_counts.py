@@ -8,12 +8,11 @@ from __future__ import annotations
 
 import heapq
 import re
-from functools import lru_cache
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Memo, bounded_batches, map_batches
+from .common import Memo, bounded_batches, map_batches, resident
 
 SPACE = "▁"
 
@@ -82,9 +81,8 @@ class MergeCounter:
         return sum([memo[u] for u in self.units.findall(text)])
 
 
-@lru_cache(maxsize=2)
 def counter(model_file: str) -> MergeCounter:
-    return MergeCounter(model_file)
+    return resident(("pieces", model_file), lambda: MergeCounter(model_file))
 
 
 def count_tokens(docs: DataFrame, model_file: str, limit: int = 4096, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

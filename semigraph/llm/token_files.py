@@ -13,7 +13,6 @@ import re
 import struct
 import zlib
 from array import array
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -21,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Memo, bounded_batches, kept_table, part_of, shuffle_partitions
+from .common import Memo, bounded_batches, kept_table, part_of, resident, shuffle_partitions
 
 CHUNK = 8
 BLOCK = 512  # bits that one entry of a rank directory covers
@@ -168,9 +167,8 @@ class WordEncoder:
         return self.packed_batch([text])[0]
 
 
-@lru_cache(maxsize=2)
 def encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+    return resident(("words", path), lambda: WordEncoder(path))
 
 
 SEGMENT = "part int, seq int, n_tokens long, doc_ids array<long>, lengths array<int>, payload binary"
