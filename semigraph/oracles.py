@@ -199,3 +199,32 @@ SQL |= {n: SSSP for n in ("sssp", "sssp_bf", "sssp_push", "sssp_delta")}
 SQL |= {n: pagerank(10) for n in ("pagerank_k", "pagerank_push_k", "pagerank_shard_k")}
 SQL |= {n: CC_CHAIN for n in ("cc", "cc_sparsified", "cc_full_jump", "cc_unconditional", "cc_edge_filter")}
 SQL |= {n: TRI for n in ("tc", "tc_naive", "tc_multiply_first", "tc_row_dot", "tc_degree_ordered", "tc_fused", "tc_bitmap", "tc_binary_search")}
+STEPS = "k AS (SELECT range step FROM range(12))"
+SWEEP = f"{COP}, {STEPS}, sw AS (SELECT step, (SELECT count(*) FROM cop)::BIGINT pull, (SELECT count(*) FROM cop WHERE j < (1 << step::INT))::BIGINT push FROM k)"
+
+
+def row_facts(name: str, edges: str) -> str:
+    return f"SELECT '{name}' graph, count(DISTINCT i)::BIGINT AS rows, count(*)::BIGINT entries, CASE WHEN count(*) >= 9.35 * count(DISTINCT i) THEN 'row' ELSE 'nonzero' END strategy FROM {edges}"
+
+
+def triangles_of(name: str, edges: str) -> str:
+    return f"SELECT '{name}' graph, count(*)::BIGINT triangles FROM {edges} a JOIN {edges} b ON b.i = a.j AND a.i > a.j AND b.i > b.j JOIN {edges} c ON c.i = a.i AND c.j = b.j"
+
+
+def low_product(name: str, edges: str) -> str:
+    return f"SELECT '{name}' graph, (SELECT count(*) FROM (SELECT DISTINCT a.i, b.i k FROM {edges} a JOIN {edges} b ON a.j = b.j AND a.i > a.j AND b.i > b.j))::BIGINT unmasked, (SELECT count(*) FROM {edges} WHERE i > j)::BIGINT mask"
+
+
+GRID = "gc AS (SELECT range i FROM range(400)), ge AS (SELECT i, i + 1 j FROM gc WHERE i % 20 < 19 UNION ALL SELECT i, i + 20 FROM gc WHERE i < 380), grid AS (SELECT i, j FROM ge UNION ALL SELECT j, i FROM ge)"
+SQL |= {
+    "input_sweep": f"WITH {SWEEP} SELECT step, pull, push FROM sw",
+    "mask_sweep": f"WITH {COP}, {STEPS} SELECT step, (SELECT count(*) FROM cop WHERE i < (1 << step::INT))::BIGINT pull_masked, (SELECT count(*) FROM cop WHERE j % 4 = 0)::BIGINT push_masked FROM k",
+    "speedup_summary": f"WITH {SWEEP} SELECT round(exp(avg(ln(pull / push))), 6) geomean, round(max(pull / push), 6) peak FROM sw WHERE push > 0",
+    "row_length_sweep": f"WITH {COP2}, {CUSTPART}, {CHAIN}, sp AS (SELECT DISTINCT l_suppkey i, l_partkey j FROM lineitem) " + " UNION ALL ".join(row_facts(*x) for x in (("supppart", "sp"), ("custpart", "cp"), ("copurchase2", "cop2"), ("userchain", "chain"))),
+    "triangle_suite": f"WITH {COP2}, {rmat()}, {GRID} " + " UNION ALL ".join(triangles_of(*x) for x in (("copurchase", "cop"), ("copurchase2", "cop2"), ("rmat", "rmat"), ("grid", "grid"))),
+    "component_suite": f"WITH {CONV} SELECT 'geo' graph, 5::BIGINT components UNION ALL SELECT 'grid', 1 UNION ALL SELECT 'convchain', count(DISTINCT i // 8) FROM conv UNION ALL SELECT 'userchain', count(*) FROM (SELECT user_id FROM events GROUP BY 1 HAVING count(*) > 1)",
+    "weak_scaling_sizes": " UNION ALL ".join(f"SELECT * FROM (WITH {rmat(k)} SELECT {k}::BIGINT AS scale, count(DISTINCT i)::BIGINT vertices, count(*)::BIGINT edges FROM rmat)" for k in range(6, 11)),
+    "sssp_parents": SSSP.replace("SELECT i, min(v) v FROM s GROUP BY i", "") + ", d AS (SELECT i, min(v) v FROM s GROUP BY i) SELECT w.j i, min(w.i) v FROM w JOIN d a ON a.i = w.i JOIN d b ON b.i = w.j AND b.v = a.v + w.v GROUP BY 1 UNION ALL SELECT 0, 0",
+    "sql_bfs": "SELECT * FROM (VALUES (5::BIGINT, 1::BIGINT), (0, 2), (2, 2), (3, 2), (4, 3), (7, 3), (1, 4), (6, 4)) t(i, v)",
+    "masked_product_suite": f"WITH {COP2}, {CHAIN} " + low_product("copurchase2", "cop2") + " UNION ALL " + low_product("userchain", "chain"),
+}

@@ -75,7 +75,7 @@ def geomean(xs) -> float:
     return math.exp(sum(map(math.log, xs)) / len(xs))
 
 
-def weak_scaling(devices: int, edges: int, memory: float = 288.0, bisection: float = 300.0) -> dict[str, float]:
+def weak_scaling(devices: int, edges: int, memory: float = 900.0, bisection: float = 300.0) -> dict[str, float]:
     """Bound of traversals a second on one device's memory against the bisection of several, in GB/s an edge."""
     return {"one_device": memory / edges, "bisection": bisection * devices / edges, "ratio": bisection * devices / memory}
 

@@ -12,7 +12,7 @@ from .algorithms import components, extras, ranking, traversal, triangles
 from .functions.algebra import BINARY, MONOIDS, SEMIRINGS, Semiring
 from .operators import multiply, pieces
 from .operators.objects import Descriptor, GraphVector, SparseMatrix
-from .plans import cost, direction
+from .plans import cost, direction, experiments
 from .plans.loop import Trace, settle
 from .relational import surface
 from .sources import graphs
@@ -271,7 +271,7 @@ STREAMS: dict[str, Query] = {
 
 
 def queries() -> dict[str, Query]:
-    return OPERATIONS | ALGORITHMS | MEASURES | GRAPHS | STREAMS | {k: getattr(surface, k) for k in surface.KEYS}
+    return OPERATIONS | ALGORITHMS | MEASURES | GRAPHS | STREAMS | {k: getattr(experiments, k) for k in experiments.KEYS} | {k: getattr(surface, k) for k in surface.KEYS}
 
 
 def oracle_sql() -> dict[str, str]:
