@@ -36,8 +36,9 @@ class PrefixBpe:
         self.matches = regex.compile(pattern.replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
         # White space after other text always starts a new match, so texts may be cut there.
         self.units = re.compile(f"[{WHITE_SPACE}]*[^{WHITE_SPACE}]+|[{WHITE_SPACE}]+").findall
-        self.by_match = Memo(self._match, 200_000)
-        self.memo = Memo(self._unit, 100_000)
+        # One cache for units and matches: most units are a single match, and a match alone matches whole.
+        self.memo = Memo(self._unit, 300_000)
+        self.lengths = {i: len(b) for i, b in self.tokens.items()}
 
     def merged(self, data: bytes) -> list[int]:
         """Plain merging by rank, for short strings: the test of compatibility."""
@@ -50,6 +51,20 @@ class PrefixBpe:
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
         return [self.ranks[p] for p in parts]
 
+    def _last_merge(self, data: bytes) -> tuple[int, int] | None:
+        """The two tokens that merging alone joins last into data; none for a byte or if data never forms."""
+        parts = [data[i : i + 1] for i in range(len(data))]
+        while len(parts) > 2:
+            rank, i = min([(self.ranks.get(a + b, 1 << 60), i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False))])
+            if rank == 1 << 60:
+                return None
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        return (self.ranks[parts[0]], self.ranks[parts[1]]) if len(parts) == 2 else None
+
+    @cached_property
+    def halves(self) -> dict[int, tuple[int, int]]:
+        return {token: pair for data, token in self.ranks.items() if (pair := self._last_merge(data))}
+
     @cached_property
     def endings(self):
         """Finds, longest first, every token that ends at a byte and that merging alone gives whole."""
@@ -57,46 +72,74 @@ class PrefixBpe:
 
         found = ahocorasick.Automaton()
         for data, token in self.ranks.items():
-            if self.merged(data) == [token]:
+            if len(data) == 1 or token in self.halves:
                 found.add_word(data.decode("latin-1"), (len(data), token))
         found.make_automaton()
         return found
 
     def _beside(self, left: int, right: int) -> bool:
-        key = left << 32 | right
-        known = self.beside.get(key)
-        if known is None:
-            if len(self.beside) > 500_000:
-                self.beside.clear()
-            known = self.beside[key] = self.merged(self.tokens[left] + self.tokens[right]) == [left, right]
-        return known
+        """Whether merging leaves both tokens whole: their merges are undone, latest first, and the
+        tokens at the seam must never have had an earlier merge with each other."""
+        ranks, tokens, halves = self.ranks, self.tokens, self.halves
+        a, b, before, whole = left, right, 1 << 60, True
+        while whole:
+            whole = ranks.get(tokens[a] + tokens[b], before) >= before
+            of_a, of_b = halves.get(a), halves.get(b)
+            if of_a and (a > b or not of_b):
+                a, before = of_a[1], a
+            elif of_b:
+                # At equal ranks the seam, which is further left, comes first.
+                b, before = of_b[0], b + 1
+            else:
+                break
+        if len(self.beside) > 500_000:
+            self.beside.clear()
+        self.beside[left << 32 | right] = whole
+        return whole
 
     def extend(self, data: bytes, begin: int, last: list[int]) -> None:
         """Fills last (whose entries up to begin stand) with the last token of each longer prefix of data."""
         last.extend([-1] * (len(data) - begin))
         at = max(0, begin - self.longest)
-        beside = self._beside
+        known = self.beside.get
         for end, (length, token) in self.endings.iter(data[at:].decode("latin-1")):
             end += at + 1
             if end > begin and last[end] < 0:
                 start = end - length
-                if start == 0 or start > 0 and beside(last[start], token):
-                    last[end] = token
+                if start:
+                    fits = known(last[start] << 32 | token)
+                    if fits is None:
+                        fits = self._beside(last[start], token)
+                    if not fits:
+                        continue
+                last[end] = token
         if -1 in last[begin + 1 :]:
             raise ValueError("a byte has no token in this vocabulary")
 
     def encode_match(self, data: bytes) -> list[int]:
         if (token := self.ranks.get(data)) is not None:
             return [token]
-        return PrefixTable(self, data).ids()
+        last = [-1]
+        self.extend(data, 0, last)
+        return self.walk_back(last)
 
-    def _match(self, match: str) -> bytes:
-        return array("I", self.encode_match(match.encode())).tobytes()
+    def walk_back(self, last: list[int]) -> list[int]:
+        """The ids of a whole table of last tokens."""
+        out, at, lengths = [], len(last) - 1, self.lengths
+        while at:
+            token = last[at]
+            out.append(token)
+            at -= lengths[token]
+        return out[::-1]
 
     def _unit(self, unit: str) -> tuple[bytes, bytes]:
         """A unit's ids and their bytes again: both are joined over a text's units."""
-        packed = b"".join([self.by_match[m] for m in self.matches(unit)])
-        return packed, self.decode(np.frombuffer(packed, "<u4").tolist())
+        matches = self.matches(unit)
+        if len(matches) == 1:
+            ids = self.encode_match(unit.encode())
+            return array("I", ids).tobytes(), self.decode(ids)
+        parts = [self.memo[m] for m in matches]
+        return b"".join([x for x, _ in parts]), b"".join([x for _, x in parts])
 
     def encode_packed(self, text: str) -> bytes:
         memo = self.memo
@@ -148,11 +191,7 @@ class PrefixTable:
         return done - start
 
     def ids(self) -> list[int]:
-        out, at = [], len(self.data)
-        while at:
-            out.append(self.last[at])
-            at -= len(self.bpe.tokens[self.last[at]])
-        return out[::-1]
+        return self.bpe.walk_back(self.last)
 
 
 def coder(path: str, pattern: str) -> PrefixBpe:

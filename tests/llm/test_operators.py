@@ -162,3 +162,20 @@ def test_empty_tables(spark):
     assert phrase_fingerprint.fingerprint_documents(none).count() == 0
     assert token_files.read_token_files(spark, token_files.write_token_files(none, P.path("word_bpe_49k.json"), 2)).count() == 0
     assert language_id.identify(none, language_id.learn(none)).count() == 0
+
+
+def test_seams_of_tokens_equal_plain_merging():
+    """The test by undoing merges agrees with merging both tokens' bytes, for near and far ranks."""
+    import random
+
+    import public_tokenizers
+
+    from semigraph.llm.byte_bpe import PrefixBpe, load_ranks
+
+    bpe = PrefixBpe(load_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken")), public_tokenizers.PATTERN)
+    draw = random.Random(7)
+    whole = sorted(bpe.halves)
+    for pool in (whole, whole[:2000]):
+        for _ in range(5000):
+            a, b = draw.choice(pool), draw.choice(pool)
+            assert bpe._beside(a, b) == (bpe.merged(bpe.tokens[a] + bpe.tokens[b]) == [a, b])
