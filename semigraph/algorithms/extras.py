@@ -9,7 +9,8 @@ from ..functions.algebra import SEMIRINGS
 from ..operators.multiply import mxm
 from ..operators.objects import SparseMatrix
 from ..plans.loop import settle
-from .traversal import bfs_multi
+
+LANES = 16  # sources in a row of betweenness
 
 
 def project(a: SparseMatrix) -> SparseMatrix:
@@ -33,20 +34,26 @@ def colour(edges: DataFrame, seed: int = 1) -> DataFrame:
 
 
 def betweenness(edges: DataFrame, sources: list[int]) -> DataFrame:
-    """(i, v): dependency of the sources' shortest paths on each vertex, levels batched over sources."""
-    depth = settle(bfs_multi(SparseMatrix(edges.select("i", "j", F.lit(1).alias("v"))), sources))[0]
-    deepest = depth.agg(F.max("v")).first()[0]
-    paths = depth.filter("v = 1").select("src", "i", F.lit(1.0).alias("s"))
-    levels = [settle(paths)[0]]
-    for d in range(2, deepest + 1):
-        here = depth.filter(F.col("v") == d).select("src", F.col("i").alias("j"))
-        levels.append(settle(levels[-1].join(edges.select("i", "j"), "i").join(here, ["src", "j"]).groupBy("src", F.col("j").alias("i")).agg(F.sum("s").alias("s")))[0])
-    total, below = None, levels[-1].withColumn("d", F.lit(0.0))
-    for up in reversed(levels[:-1]):
-        share = below.select("src", F.col("i").alias("j"), ((1 + F.col("d")) / F.col("s")).alias("x"))
-        got = up.join(edges.select("i", "j"), "i").join(share, ["src", "j"]).groupBy("src", "i").agg(F.sum(F.col("x") * F.col("s")).alias("d"))
-        here = settle(up.join(got, ["src", "i"], "left").select("src", "i", "s", F.coalesce("d", F.lit(0.0)).alias("d")))[0]
-        total = below if total is None else total.unionByName(below)
-        below = here
-    out = total if total is not None else below
-    return out.filter("i <> src").groupBy("i").agg(F.sum("d").alias("v"))
+    """(i, v): dependency of the sources' shortest paths on each vertex; the whole betweenness (each pair in both
+    directions) if the sources are all vertices. A row holds one vertex's path counts for 16 sources."""
+    lanes, e = range(LANES), edges.select("i", "j")
+    rows = [(at // LANES, s, *[float(k == at % LANES) for k in lanes]) for at, s in enumerate(dict.fromkeys(sources))]
+    level = settle(e.sparkSession.createDataFrame(rows, "b int, i long, " + ", ".join(f"s{k} double" for k in lanes)))[0]
+    mask = sum((F.when(F.col(f"s{k}") > 0, 1 << k).otherwise(0) for k in lanes), F.lit(0)).alias("m")
+    levels, seen = [level], level.select("b", "i", mask)
+    while True:
+        hit = level.join(e, "i").groupBy("b", F.col("j").alias("i")).agg(*[F.sum(f"s{k}").alias(f"s{k}") for k in lanes])
+        fresh = hit.join(seen, ["b", "i"], "left").select("b", "i", *[F.when(F.coalesce("m", F.lit(0)).bitwiseAND(1 << k) == 0, F.col(f"s{k}")).otherwise(0.0).alias(f"s{k}") for k in lanes])
+        level, got = settle(fresh.filter(" or ".join(f"s{k} > 0" for k in lanes)))
+        if not got["n"]:
+            break
+        levels.append(level)
+        seen = settle(seen.unionByName(level.select("b", "i", mask)).groupBy("b", "i").agg(F.bit_or("m").alias("m")))[0]
+    total = below = levels.pop().select("*", *[F.lit(0.0).alias(f"d{k}") for k in lanes])
+    for up in reversed(levels[1:]):
+        share = below.select("b", F.col("i").alias("j"), *[F.when(F.col(f"s{k}") > 0, (1 + F.col(f"d{k}")) / F.col(f"s{k}")).otherwise(0.0).alias(f"x{k}") for k in lanes])
+        got = share.join(e, "j").groupBy("b", "i").agg(*[F.sum(f"x{k}").alias(f"x{k}") for k in lanes])
+        below = settle(up.join(got, ["b", "i"], "left").select("b", "i", *[f"s{k}" for k in lanes], *[(F.col(f"s{k}") * F.coalesce(f"x{k}", F.lit(0.0))).alias(f"d{k}") for k in lanes]))[0]
+        total = total.unionByName(below)
+    total = total if levels else total.limit(0)
+    return total.groupBy("i").agg(F.sum(sum((F.col(f"d{k}") for k in lanes), F.lit(0.0))).alias("v"))

@@ -135,6 +135,7 @@ SELECT e.j i, min(e.i) v FROM cop e JOIN d a ON a.i = e.i JOIN d b ON b.i = e.j
     "bfs_rmat": levels(rmat(), "rmat", "0::BIGINT", 8),
     "bfs_geo": levels(GEO, "geo", "0::BIGINT", 6),
     "apsp_small": f"WITH {CONV}, c AS (SELECT * FROM conv WHERE i < 400), v AS (SELECT i FROM c UNION SELECT j FROM c) SELECT a.i src, b.i i, b.i - a.i v FROM v b JOIN c s ON s.i <= b.i AND s.i // 8 = b.i // 8 JOIN v a ON a.i = s.i",
+    "apsp_conversations": f"WITH {CONV}, v AS (SELECT i FROM conv UNION SELECT j FROM conv) SELECT s.i src, b.i i, b.i - s.i v FROM conv s JOIN v b ON s.i <= b.i AND s.i // 8 = b.i // 8",
     "topk_pagerank": pagerank(10, "SELECT i, round(v, 9) v FROM p{k} ORDER BY round(v, 9) DESC, i LIMIT 10"),
     "cc_dupline": reach(LINES + ", h AS (SELECT line, row_number() OVER (ORDER BY line) + 999999999 id FROM (SELECT DISTINCT line FROM dl)), dg AS (SELECT doc_id i, id j FROM dl JOIN h USING (line) UNION ALL SELECT id, doc_id FROM dl JOIN h USING (line))", "dg", "WHERE i < 1000000000"),
     "cc_sizes": f"WITH c AS ({CC_CHAIN}) SELECT v, count(*)::BIGINT n FROM c GROUP BY 1",

@@ -142,6 +142,16 @@ def _local_la(s, d) -> DataFrame:
     return bfs_local(_edges(s, d), 0)
 
 
+def _betweenness(s, d) -> DataFrame:
+    e = _edges(s, d)
+    return _round(extras.betweenness(e, traversal.sample_sources(e)), 6)
+
+
+def _diameter(s, d) -> DataFrame:
+    a = _matrix(s, d)
+    return s.createDataFrame([(traversal.diameter_estimate(a, traversal.sample_sources(a.df)),)], "diameter long")
+
+
 def _profile(name: str) -> Query:
     from .baselines import profiles
 
@@ -219,6 +229,7 @@ ALGORITHMS: dict[str, Query] = {
     "sssp_push": lambda s, d: traversal.sssp(_weighted(s, d), 0, policy=direction.AlwaysPush()),
     "sssp_delta": lambda s, d: traversal.sssp_delta(_weighted(s, d), 0, 8),
     "apsp_small": lambda s, d: traversal.apsp(SparseMatrix(settle(graphs.convchain(s, d).filter("i < 400"))[0]), graphs.convchain(s, d).filter("i < 400").select(F.col("i").alias("src")).distinct()),
+    "apsp_conversations": lambda s, d: traversal.apsp(SparseMatrix(settle(graphs.convchain(s, d))[0]), graphs.convchain(s, d).select(F.col("i").alias("src")).distinct()),
     "pagerank_k": lambda s, d: _round(ranking.pagerank(_edges(s, d), _vertices(s, d), rounds=10)),
     "pagerank_push_k": lambda s, d: _round(ranking.pagerank_push(_edges(s, d), _vertices(s, d), rounds=10)),
     "pagerank_shard_k": lambda s, d: _round(ranking.pagerank(_edges(s, d), _vertices(s, d), rounds=10, windows=8)),
@@ -239,8 +250,8 @@ ALGORITHMS: dict[str, Query] = {
     "clustering_coeff": lambda s, d: _round(triangles.clustering(_edges(s, d))),
     "transitivity": lambda s, d: triangles.transitivity(_edges(s, d)).select(F.round("v", 9).alias("v")),
     "colouring": lambda s, d: extras.colour(graphs.copurchase2(s, d)),
-    "betweenness": lambda s, d: _round(extras.betweenness(_edges(s, d), [0, 1]), 6),
-    "diameter_sampled": lambda s, d: s.createDataFrame([(traversal.diameter_estimate(_matrix(s, d), [0, 5, 9]),)], "diameter long"),
+    "betweenness": _betweenness,
+    "diameter_sampled": _diameter,
 } | {"cc" if n == "hook_shortcut" else f"cc_{n}": _cc(n) for n in components.VARIANTS if n not in ("label_propagation", "multistep")} | {f"cc_{n}": (lambda f: lambda s, d: f(settle(graphs.geo(s, d))[0]))(components.VARIANTS[n]) for n in ("label_propagation", "multistep")} | {f"profile_{n}": _profile(n) for n in ("cpu_la", "cpu_trav", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
 
 MEASURES: dict[str, Query] = {
