@@ -165,6 +165,7 @@ SELECT e.j i, min(e.i) v FROM cop e JOIN d a ON a.i = e.i JOIN d b ON b.i = e.j
     "contam_edges": "SELECT DISTINCT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
     "rmat_edges": f"WITH {rmat()} SELECT * FROM rmat",
     "grid_edges": "WITH c AS (SELECT range i FROM range(400)), e AS (SELECT i, i + 1 j FROM c WHERE i % 20 < 19 UNION ALL SELECT i, i + 20 FROM c WHERE i < 380) SELECT i, j, 1::BIGINT v FROM e UNION ALL SELECT j, i, 1 FROM e",
+    "stream_window_degrees": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, user_id, count(*)::BIGINT n FROM events GROUP BY 1, 2",
     "stream_distinct_edges": f"WITH {USERKEY} SELECT i user_id, j k FROM uk",
     "stream_static_join": "SELECT event_id, c_name FROM events JOIN customer ON user_id = c_custkey",
     "stream_cc": reach(USERKEY + ", ug AS (SELECT i, j + 1000000 j FROM uk UNION ALL SELECT j + 1000000, i FROM uk)", "ug"),

@@ -67,3 +67,11 @@ def test_shortest_paths_of_all_conversations(spark):
     db.execute(f"CREATE VIEW conversations AS SELECT * FROM '{SF}/conversations.parquet'")
     want = db.execute("SELECT a.conv_id * 8 + a.turn, b.conv_id * 8 + b.turn, b.turn - a.turn FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn >= a.turn WHERE EXISTS (SELECT 1 FROM conversations c WHERE c.conv_id = a.conv_id AND c.turn = a.turn + 1)").fetchall()
     assert sorted((r["src"], r["i"], r["v"]) for r in df.collect()) == sorted(want)
+
+
+def test_stream_keeps_the_last_days(spark):
+    df = queries.queries()["stream_window_degrees"](spark, SF)
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW events AS SELECT * FROM '{SF}/events.parquet'")
+    want = db.execute(queries.oracle_sql()["stream_window_degrees"]).fetchall()
+    assert sorted((r["day"], r["user_id"], r["n"]) for r in df.collect()) == sorted(want)
