@@ -1,4 +1,4 @@
-"""The published experiments on the given tables: sweeps of sparsity and shape, suites over graphs, summaries.
+"""Published experiments on the given tables, some reduced (README lists which): sweeps of sparsity and shape, suites over graphs, summaries.
 
 Costs are counted in matrix entries read, so that they hold at any size; bench.py takes the times.
 """
@@ -15,25 +15,32 @@ from ..sources import graphs
 from . import cost
 from .loop import settle
 
-STEPS = range(12)
+LEAST_STEPS = 12
 
 
-def _tall(wide: DataFrame, *series: str) -> DataFrame:
+def _steps(s, d) -> range:
+    """Steps 0 to the first k whose 2^k vertices are all parts; small tables have 12 steps, as their SQL twins do."""
+    return range(max(LEAST_STEPS, (graphs.table(s, d, "part").count() - 1).bit_length() + 1))
+
+
+def _tall(wide: DataFrame, steps: range, *series: str) -> DataFrame:
     """One row per step from columns name_step of a single row."""
-    rows = F.array(*[F.struct(F.lit(k).cast("long").alias("step"), *[F.col(f"{n}_{k}").alias(n) for n in series]) for k in STEPS])
+    rows = F.array(*[F.struct(F.lit(k).cast("long").alias("step"), *[F.col(f"{n}_{k}").alias(n) for n in series]) for k in steps])
     return wide.select(F.explode(rows).alias("r")).select("r.*")
 
 
 def input_sweep(s, d) -> DataFrame:
     """(step, pull, push): entries read for vectors that store the first 2^step vertices; one pass."""
-    counts = [F.count(F.lit(1)).alias(f"pull_{k}") for k in STEPS] + [F.count_if(F.col("j") < (1 << k)).alias(f"push_{k}") for k in STEPS]
-    return _tall(graphs.copurchase(s, d).agg(*counts), "pull", "push")
+    steps = _steps(s, d)
+    counts = [F.count(F.lit(1)).alias(f"pull_{k}") for k in steps] + [F.count_if(F.col("j") < (1 << k)).alias(f"push_{k}") for k in steps]
+    return _tall(graphs.copurchase(s, d).agg(*counts), steps, "pull", "push")
 
 
 def mask_sweep(s, d) -> DataFrame:
     """(step, pull_masked, push_masked): masks of the first 2^step vertices, vector of every fourth; one pass."""
-    counts = [F.count_if(F.col("i") < (1 << k)).alias(f"pull_masked_{k}") for k in STEPS] + [F.count_if(F.col("j") % 4 == 0).alias(f"push_masked_{k}") for k in STEPS]
-    return _tall(graphs.copurchase(s, d).agg(*counts), "pull_masked", "push_masked")
+    steps = _steps(s, d)
+    counts = [F.count_if(F.col("i") < (1 << k)).alias(f"pull_masked_{k}") for k in steps] + [F.count_if(F.col("j") % 4 == 0).alias(f"push_masked_{k}") for k in steps]
+    return _tall(graphs.copurchase(s, d).agg(*counts), steps, "pull_masked", "push_masked")
 
 
 def row_length_sweep(s, d) -> DataFrame:

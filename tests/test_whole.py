@@ -7,6 +7,7 @@ import pytest
 
 from semigraph import queries
 from semigraph.operators.objects import SparseMatrix
+from semigraph.plans import experiments
 
 SF = "/root/testdata/sf0.01"
 
@@ -75,3 +76,13 @@ def test_stream_keeps_the_last_days(spark):
     db.execute(f"CREATE VIEW events AS SELECT * FROM '{SF}/events.parquet'")
     want = db.execute(queries.oracle_sql()["stream_window_degrees"]).fetchall()
     assert sorted((r["day"], r["user_id"], r["n"]) for r in df.collect()) == sorted(want)
+
+
+def test_sweeps_reach_all_vertices(spark, tmp_path, monkeypatch):
+    spark.range(5000).selectExpr("id AS p_partkey").write.parquet(str(tmp_path / "part.parquet"))
+    e = [(a, b, 1) for k in range(4999) for a, b in ((k, k + 1), (k + 1, k))]
+    monkeypatch.setattr(experiments.graphs, "copurchase", lambda s, d: spark.createDataFrame(e, "i long, j long, v long"))
+    got = {r["step"]: (r["pull"], r["push"]) for r in experiments.input_sweep(spark, str(tmp_path)).collect()}
+    assert got == {k: (len(e), sum(j < 1 << k for _, j, _ in e)) for k in range(14)} and got[13] == (len(e), len(e))
+    got = {r["step"]: r["pull_masked"] for r in experiments.mask_sweep(spark, str(tmp_path)).collect()}
+    assert got == {k: sum(i < 1 << k for i, _, _ in e) for k in range(14)}
