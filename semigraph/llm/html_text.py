@@ -1,7 +1,11 @@
 """Layout-aware page text: a tree with implied tags, visibility rules, block spacing, lists and aligned tables.
 
-Null or empty pages give empty text. Comments, declarations, scripts, styles, templates and elements
-hidden by attribute or inline style give nothing. Block elements stand on lines of their own with a
+Null or empty pages give empty text. These give nothing: comments, declarations, head, title, scripts, styles,
+templates, data lists, what only stands in for something else that is shown (noscript, iframe, canvas, audio, video),
+descriptions and definitions in svg, annotations in math, and elements hidden by attribute or inline style, at any depth.
+A select gives its chosen option (else its first enabled one), a list box all of them; text fields, formulas, labels
+in drawings and the content of object are text. Lists, quotes and tables nested deeper than LAYOUTS are not indented or
+aligned any further; their text stays. Block elements stand on lines of their own with a
 blank line around paragraphs and headings; list items carry a bullet or their number; table cells are
 padded to the width of their column. White space is collapsed outside pre. Broken markup never fails:
 end tags without a start are passed over, open elements end with the page.
@@ -11,6 +15,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections import defaultdict
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -19,7 +24,12 @@ from .common import bounded_batches, map_batches
 
 #: Fixed: element classes of the public HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-HIDDEN = frozenset("head script style template noscript title iframe object svg math canvas audio video datalist select textarea".split())
+HIDDEN = frozenset("head script style template noscript title iframe canvas audio video datalist".split())
+FOREIGN_HIDDEN = frozenset("desc defs metadata symbol clippath mask marker pattern annotation annotation-xml".split())
+#: These end an svg or math element that is still open.
+BREAKS_OUT = frozenset("b big br code em embed i img nobr ruby s small span strong strike sub sup tt u var font".split())
+APART = frozenset("text td th".split())
+LAYOUTS = 512
 RAW = frozenset("script style textarea title iframe noscript xmp".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table ul tr caption thead tbody tfoot".split())
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 ul ol dl table blockquote pre figure hr fieldset".split())
@@ -30,6 +40,7 @@ CLOSES = {
     "li": ({"li"}, {"ul", "ol", "menu", "dir"}),
     "dt": ({"dt", "dd"}, {"dl"}),
     "dd": ({"dt", "dd"}, {"dl"}),
+    "optgroup": ({"option", "optgroup"}, {"select"}),
     "option": ({"option"}, {"select", "datalist"}),
     "tr": ({"tr", "td", "th", "caption", "colgroup"}, {"table"}),
     "td": ({"td", "th"}, {"tr", "table"}),
@@ -52,14 +63,22 @@ class Node:
 def parse(page: str) -> Node:
     root = Node("#root")
     stack = [root]
+    places: dict[str, list[int]] = defaultdict(list)  # depths of the open elements by tag
 
-    def close(tags, stops) -> None:
-        for depth in range(len(stack) - 1, 0, -1):
-            if stack[depth].tag in stops:
-                return
-            if stack[depth].tag in tags:
-                del stack[depth:]
-                return
+    def deepest(tags) -> int:
+        return max((places[t][-1] for t in tags if places[t]), default=0)
+
+    def push(node: Node) -> None:
+        places[node.tag].append(len(stack))
+        stack.append(node)
+
+    def close(tags, stops) -> bool:
+        depth = deepest(tags)
+        if depth <= deepest(stops):
+            return False
+        while len(stack) > depth:
+            places[stack.pop().tag].pop()
+        return True
 
     at, size = 0, len(page)
     while at < size:
@@ -73,7 +92,7 @@ def parse(page: str) -> Node:
             continue
         tag = name.lower()
         if found[1]:
-            if tag == "p" and not any(n.tag == "p" for n in stack):
+            if tag == "p" and not places["p"]:
                 stack[-1].children.append(Node("p"))
             elif tag == "br":
                 stack[-1].children.append(Node("br"))
@@ -81,35 +100,40 @@ def parse(page: str) -> Node:
                 close({tag}, {"table"} if tag not in TABLE_PARTS and tag != "table" and tag not in ("body", "html") else {"table"} - {tag} if tag in TABLE_PARTS else ())
             continue
         attributes = {a.lower(): (v[1:-1] if v[:1] in "\"'" else v) for a, v in ATTRIBUTE.findall(found[3])} if found[3].strip("/ \n\t") else {}
-        if tag in ("html", "body") and any(n.tag == tag for n in stack):
+        if tag in ("html", "body") and places[tag]:
             continue
+        foreign = deepest(("svg", "math")) > deepest(("foreignobject",))
+        if foreign and (tag in BLOCK or tag in BREAKS_OUT):
+            while close({"svg", "math"}, {"foreignobject"}):
+                pass
+            foreign = False
         if tag == "body":
             close({"head"}, ())
         elif stack[-1].tag == "head" and tag not in HIDDEN and tag not in VOID:
             close({"head"}, ())
         if tag in CLOSES:
             tags, stops = CLOSES[tag]
-            while any(n.tag in tags for n in stack) and (depth := len(stack)):
-                close(tags, stops)
-                if len(stack) == depth:
-                    break
+            while close(tags, stops):
+                pass
         if tag in CLOSE_P:
             close({"p"}, {"table", "td", "th", "button", "caption"})
         if tag in ("td", "th") and stack[-1].tag not in ("tr",):
             row = Node("tr")
             stack[-1].children.append(row)
-            stack.append(row)
+            push(row)
+        if foreign and tag in FOREIGN_HIDDEN:
+            attributes["hidden"] = ""
         node = Node(tag, attributes)
         stack[-1].children.append(node)
-        if tag in VOID or (found[3].endswith("/") and tag in ("svg", "math")):
+        if tag in VOID or (found[3].endswith("/") and (foreign or tag in ("svg", "math"))):
             continue
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}\b[^>]*>?", re.I).search(page, at)
-            node.children.append(page[at : end.start() if end else size])
+            raw = page[at : end.start() if end else size]
+            node.children.append(entities.unescape(raw).removeprefix("\n") if tag == "textarea" else raw)
             at = end.end() if end else size
             continue
-        if len(stack) < 512:
-            stack.append(node)
+        push(node)
     return root
 
 
@@ -173,7 +197,36 @@ def cells_of(table: Node):
             yield [child]
 
 
-def render(node: Node, out: Layout, keep: bool = False, depth: int = 0) -> None:
+def shown_options(select: Node) -> list[Node]:
+    """The options that a select shows: all in a list box, else the last chosen or the first enabled one."""
+    options, left = [], [(select, False)]
+    while left:
+        node, off = left.pop()
+        off = off or node is not select and "disabled" in node.attributes
+        if node.tag == "option":
+            options.append((node, off))
+        else:
+            left.extend((c, off) for c in reversed(node.children) if isinstance(c, Node) and not hidden(c))
+    if "multiple" in select.attributes or re.fullmatch(r"\s*0*([2-9]|[1-9][0-9]+)\s*", select.attributes.get("size", "")):
+        return [o for o, _ in options]
+    return [o for o, _ in options if "selected" in o.attributes][-1:] or [o for o, off in options if not off][:1]
+
+
+def run(task):
+    """What a task returns; the tasks it yields run before it goes on, on a list instead of Python's call stack."""
+    waiting, value = [task], None
+    while waiting:
+        try:
+            waiting.append(waiting[-1].send(value))
+            value = None
+        except StopIteration as end:
+            waiting.pop()
+            value = end.value
+    return value
+
+
+def render(node: Node, out: Layout, keep: bool = False, depth: int = 0):
+    """A task for run(); depth counts the layouts around it."""
     number = 1
     if node.tag == "ol":
         start = node.attributes.get("start", "1").strip()
@@ -190,25 +243,37 @@ def render(node: Node, out: Layout, keep: bool = False, depth: int = 0) -> None:
         elif child.tag == "img":
             if child.attributes.get("alt"):
                 out.text(entities.unescape(child.attributes["alt"]), False)
-        elif child.tag == "table":
+        elif child.tag == "select":
+            for option in shown_options(child):
+                out.text(" ", False)
+                if option.attributes.get("label"):
+                    out.text(entities.unescape(option.attributes["label"]), False)
+                else:
+                    yield render(option, out, False, depth)
+                out.text(" ", False)
+        elif child.tag == "textarea":
+            out.end(keep)
+            yield render(child, out, True, depth)
+            out.end(True)
+        elif child.tag == "table" and depth < LAYOUTS:
             out.gap()
-            for line in table_lines(child, depth):
+            for line in (yield table_lines(child, depth)):
                 out.text(line, True)
                 out.end(True)
             out.gap()
-        elif child.tag == "li":
+        elif child.tag == "li" and depth < LAYOUTS:
             out.end()
             mark = f"{number}. " if node.tag == "ol" else "- "
             number += 1
             inner = Layout()
-            render(child, inner, keep, depth + 1)
+            yield render(child, inner, keep, depth + 1)
             for i, line in enumerate(inner.result()):
                 out.text((mark if i == 0 else " " * len(mark)) + line, True)
                 out.end(True)
-        elif child.tag in ("blockquote", "dd"):
+        elif child.tag in ("blockquote", "dd") and depth < LAYOUTS:
             (out.gap if child.tag == "blockquote" else out.end)()
             inner = Layout()
-            render(child, inner, keep, depth + 1)
+            yield render(child, inner, keep, depth + 1)
             for line in inner.result():
                 out.text("  " + line if line else "", True)
                 out.end(True)
@@ -216,15 +281,21 @@ def render(node: Node, out: Layout, keep: bool = False, depth: int = 0) -> None:
         elif child.tag in BLOCK:
             nested = child.tag in ("ul", "ol") and node.tag == "li"
             (out.gap if child.tag in SPACED and not nested else out.end)()
-            render(child, out, keep or child.tag == "pre", depth + 1)
+            yield render(child, out, keep or child.tag == "pre", depth)
             out.end(keep or child.tag == "pre")
             if child.tag in SPACED and not nested:
                 out.gap()
         else:
-            render(child, out, keep, depth + 1)
+            apart = child.tag in APART
+            if apart:
+                out.text(" ", False)
+            yield render(child, out, keep, depth)
+            if apart:
+                out.text(" ", False)
 
 
-def table_lines(table: Node, depth: int) -> list[str]:
+def table_lines(table: Node, depth: int):
+    """A task for run(): the lines of a table."""
     rows = []
     for row in cells_of(table):
         texts = []
@@ -232,7 +303,7 @@ def table_lines(table: Node, depth: int) -> list[str]:
             inner = Layout()
             holder = Node("#cell")
             holder.children = [cell] if isinstance(cell, str) else cell.children
-            render(holder, inner, False, depth + 1)
+            yield render(holder, inner, False, depth + 1)
             texts.append([x for x in inner.result() if x] or [""])
         if texts:
             rows.append(texts)
@@ -249,7 +320,7 @@ def page_text(page: str | None) -> str:
     if not page:
         return ""
     out = Layout()
-    render(parse(page), out)
+    run(render(parse(page), out))
     return "\n".join(out.result())
 
 
@@ -257,9 +328,9 @@ def extract_text(pages: DataFrame, id_col: str = "page_id", html_col: str = "htm
     """One row per page: its id, the visible text and its length in code points."""
     bounded_batches(pages.sparkSession)
 
-    def run(batch):
+    def texts_of(batch):
         texts = [page_text(p) for p in batch.column(1).to_pylist()]
         return {id_col: batch.column(0), "text": texts, "n_chars": [len(t) for t in texts]}
 
     rows = pages.select(F.col(id_col).cast("long").alias(id_col), F.col(html_col).alias("html"))
-    return map_batches(rows, run, f"{id_col} long, text string, n_chars long")
+    return map_batches(rows, texts_of, f"{id_col} long, text string, n_chars long")

@@ -179,3 +179,21 @@ def test_seams_of_tokens_equal_plain_merging():
         for _ in range(5000):
             a, b = draw.choice(pool), draw.choice(pool)
             assert bpe._beside(a, b) == (bpe.merged(bpe.tokens[a] + bpe.tokens[b]) == [a, b])
+
+
+def test_pages_give_all_that_is_shown():
+    shown = {
+        '<p>A</p><svg><title>no</title><desc>no</desc><defs><text>no</text></defs><path d="M0"/><text>one</text><text>two</text></svg><p>E': "A\n\none two\n\nE",
+        "<p>x <math><mi>a</mi><mo>+</mo><mi>b</mi><annotation>no</annotation></math></p>": "x a+b",
+        "<select><option>no<option selected>b<option>no</select>": "b",
+        "<select><optgroup disabled><option>no</optgroup><option>b<option>no</select>": "b",
+        "<select multiple><option>a<option>b</select>": "a b",
+        "<textarea>\nl1 &amp; x\n  l2</textarea>": "l1 & x\n  l2",
+        "<object data=x><p>in its place</p></object>": "in its place",
+        "<datalist><option>no</datalist><canvas>no</canvas>z": "z",
+        "<div>" * 600 + "<b hidden>no</b><ul><li>x<li>y</ul><table><tr><td>a<td>b</table>": "- x\n- y\n\na | b",
+        "<blockquote>" * 3000 + "deep<b hidden>no": None,
+    }
+    for page, want in shown.items():
+        got = html_text.page_text(page)
+        assert got == want if want is not None else got.strip() == "deep", page[:80]
