@@ -3,7 +3,8 @@
 The patterns give the base spans of a whole text. A bidirectional LSTM with CRF transitions, trained
 here on a bounded sample of labelled windows, reads every neighbourhood of a digit or at sign of a
 whole text (a span without either is never accepted, so nothing else can change a result), in
-overlapping windows. Their decoded spans are reconciled over the whole document: spans that windows
+overlapping windows of 64 characters; where a decoded span touches a window's edge, a window that holds
+more of it is read too (a span that no window holds is not added). Their decoded spans are reconciled over the whole document: spans that windows
 agree on are scored together and the best set without overlaps is kept, if it passes the kind's own
 test and touches no base span. Null texts count as empty and have no spans; spans are in code points,
 end exclusive; a base span is never dropped or moved.
@@ -12,8 +13,10 @@ end exclusive; a base span is never dropped or moved.
 from __future__ import annotations
 
 import hashlib
+import heapq
 import random
 import re
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -154,9 +157,18 @@ class Finder:
 
     def added(self, texts: list[str], bases: list[list[tuple[str, int, int]]]) -> list[list[tuple[str, int, int]]]:
         places = [(d, s) for d, t in enumerate(texts) for s in windows_of(t)]
+        known = set(places)
         votes: list[dict] = [{} for _ in texts]
-        for lo in range(0, len(places), 2048):
+
+        def more(d: int, s: int) -> None:
+            if (d, s) not in known:
+                known.add((d, s))
+                places.append((d, s))
+
+        lo = 0
+        while lo < len(places):
             some = places[lo : lo + 2048]
+            lo += len(some)
             x = np.full((len(some), WINDOW), 3, np.int64)
             for row, (d, s) in enumerate(some):
                 c = classes_of(texts[d][s : s + WINDOW])
@@ -166,8 +178,13 @@ class Finder:
                 d, s = some[row]
                 end = min(WINDOW, len(texts[d]) - s)
                 for kind, a, b in spans_of(tags[row]):
-                    # A span cut by the window's edge is left to the next window.
-                    if (a > 0 or s == 0) and (b < WINDOW or s + b == len(texts[d])) and b <= end:
+                    # A span cut by the window's edge is left to a window that ends, or starts, beside its other end.
+                    left, right = a == 0 and s > 0, b >= WINDOW and s + WINDOW < len(texts[d])
+                    if left and not right:
+                        more(d, max(0, s + min(b, end) + 1 - WINDOW))
+                    elif right and not left:
+                        more(d, s + max(0, a - 1))
+                    elif not left and b <= end:
                         key = (kind, s + a, s + b)
                         votes[d][key] = votes[d].get(key, 0.0) + float(margin[row, a:b].sum())
         return [reconcile(t, v, b) if v else [] for t, v, b in zip(texts, votes, bases, strict=True)]
@@ -202,21 +219,37 @@ def made_examples(n: int, seed: int) -> list[tuple[str, list[tuple[str, int, int
     return [x for x in out if x[1] is not None]
 
 
-def train(docs: DataFrame, sample_docs: int = 400, windows: int = 1500, hidden: int = 12, steps: int = 220, seed: int = 7) -> tuple[dict[str, np.ndarray], list[float]]:
-    """Fits the tagger on windows of sample_docs texts (lowest hash of doc_id among those with a digit or
-    sign), labelled by their base spans, and on as many made examples; both bounds are parameters."""
-    holds = docs.filter(F.col("text").rlike("[0-9@]"))
-    rows = holds.select(F.xxhash64("doc_id").alias("at"), F.substring("text", 1, 20_000).alias("text")).orderBy("at", "text").limit(sample_docs).collect()
-    examples = made_examples(windows, seed)
-    r = random.Random(seed)
-    for row in rows:
-        text = row["text"]
-        spans = base_spans(text)
-        starts = windows_of(text)
-        for s in r.sample(starts, min(4, len(starts))):
-            if len(examples) < 2 * windows:
+def sampled_windows(docs: DataFrame, sample_docs: int, per_doc: int, seed: int) -> list[tuple[str, list[tuple[str, int, int]]]]:
+    """Windows of whole texts, drawn where the texts lie: of the sample_docs texts with the lowest hash of doc_id
+    among those with a digit or sign, the per_doc windows with the lowest hash of doc_id and start."""
+    holds = docs.filter(F.col("text").rlike("[0-9@]")).select(F.xxhash64("doc_id").alias("at"), "doc_id", "text")
+    last = holds.select("at").orderBy("at").limit(sample_docs).agg(F.max("at")).first()[0]
+    if last is None:
+        return []
+
+    def draw(batch):
+        out = {"at": [], "digest": [], "piece": [], "kinds": [], "begins": [], "ends": []}
+        for at, doc, text in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+            spans, digest = base_spans(text), hashlib.sha256(text.encode("utf-8", "surrogatepass")).hexdigest()
+            for s in heapq.nsmallest(per_doc, windows_of(text), key=lambda s: (zlib.crc32(f"{seed}:{doc}:{s}".encode()), s)):
                 inside = [(k, a - s, b - s) for k, a, b in spans if a < s + WINDOW and b > s]
-                examples.append((text[s : s + WINDOW], inside))
+                row = (at, digest, text[s : s + WINDOW], [x[0] for x in inside], [x[1] for x in inside], [x[2] for x in inside])
+                for column, value in zip(out.values(), row, strict=True):
+                    column.append(value)
+        return out
+
+    rows = map_batches(holds.filter(F.col("at") <= last), draw, "at long, digest string, piece string, kinds array<string>, begins array<long>, ends array<long>").collect()
+    rows.sort(key=lambda r: (r["at"], r["digest"], zlib.crc32(r["piece"].encode("utf-8", "surrogatepass")), r["piece"]))
+    keep = set(list(dict.fromkeys((r["at"], r["digest"]) for r in rows))[:sample_docs])
+    return [(r["piece"], list(zip(r["kinds"], r["begins"], r["ends"], strict=True))) for r in rows if (r["at"], r["digest"]) in keep]
+
+
+def train(docs: DataFrame, sample_docs: int = 400, windows: int = 1500, hidden: int = 12, steps: int = 220, seed: int = 7, per_doc: int = 4) -> tuple[dict[str, np.ndarray], list[float]]:
+    """Fits the tagger on at most windows windows of sample_docs whole texts, per_doc of each, labelled by their
+    base spans, and on as many made examples; all bounds are parameters."""
+    bounded_batches(docs.sparkSession)
+    examples = made_examples(windows, seed)
+    examples += sampled_windows(docs, sample_docs, per_doc, seed)[: 2 * windows - len(examples)]
     x = np.full((len(examples), WINDOW), 3, np.int64)
     y = np.zeros((len(examples), WINDOW), np.int64)
     for i, (text, spans) in enumerate(examples):

@@ -197,3 +197,31 @@ def test_pages_give_all_that_is_shown():
     for page, want in shown.items():
         got = html_text.page_text(page)
         assert got == want if want is not None else got.strip() == "deep", page[:80]
+
+
+def test_training_windows_come_from_whole_texts(spark):
+    text = "word " * 5000 + "write to ann.lee@mail.example.com today"
+    rows = spark.createDataFrame([(1, text), (2, "none"), (3, None)], "doc_id long, text string")
+    got = personal_data.sampled_windows(rows, 400, 4, 7)
+    assert got and all(p in text and "@" in p for p, _ in got) and any(k == "email" for _, spans in got for k, _, _ in spans)
+
+
+def test_span_at_a_windows_edge_is_read_again():
+    class Whole:
+        """Tags every stretch between spaces of two and more, as far as the window shows it."""
+
+        def decode(self, x):
+            gap = personal_data.classes_of("\n")[0]
+            tags = np.zeros(x.shape, int)
+            for row in range(len(x)):
+                inside = (x[row] != gap) & (x[row] != 3)
+                for i in np.flatnonzero(inside):
+                    tags[row, i] = B if i == 0 or not inside[i - 1] else B + 1
+            return tags, np.ones(x.shape)
+
+    B = personal_data.TAGS.index("B-email")
+    finder = personal_data.Finder({}, 2)
+    finder.tagger = Whole()
+    for local in ("ann", "a" * 30, "a" * 45):
+        text = "\n" * 90 + local + "@mail.example" + "\n" * 90
+        assert finder.added([text], [[]]) == [[("email", 90, 90 + len(local) + 13)]], local
