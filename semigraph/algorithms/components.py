@@ -17,8 +17,8 @@ def _vertices(edges: DataFrame) -> DataFrame:
 def hook_shortcut(edges: DataFrame, sparsified: bool = False, full_jump: bool = False, unconditional: bool = False, trace: Trace | None = None, max_rounds: int = 1000) -> DataFrame:
     """Rounds of: smallest grandparent among neighbours, hooked onto the parent and the vertex itself,
     then a jump to the grandparent; ends when no grandparent changes. sparsified: only changed
-    grandparents are sent. full_jump: jumps until trees are stars. unconditional: stars that did not
-    hook onto a smaller neighbour hook onto any, so rounds stay logarithmic."""
+    grandparents are sent. full_jump: jumps until trees are stars; the hooking direction does not
+    alternate. unconditional: the same as full_jump, as stars are not told apart and hook onto smaller ones only."""
     state, _ = settle(_vertices(edges).select("i", F.col("i").alias("p"), F.col("i").alias("g"), F.lit(True).alias("fresh")))
     for _ in range(max_rounds):
         sent = state.filter("fresh") if sparsified else state
