@@ -32,11 +32,13 @@ def shuffle_partitions(spark: SparkSession) -> int:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names; one of our own only where none is named."""
+    """The shared folder that the session names in spark.checkpoint.dir, or has set as its checkpoint folder. Without
+    either, a local session gets a folder of its own; on a cluster that is an error, as executors share no local folder."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
-        root = tempfile.mkdtemp(prefix="semigraph-")
-        spark.sparkContext.setCheckpointDir(root)
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="semigraph-"))
         root = spark.sparkContext.getCheckpointDir()
     return root.rstrip("/")
 

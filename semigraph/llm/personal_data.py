@@ -6,8 +6,11 @@ whole text (a span without either is never accepted, so nothing else can change
 overlapping windows of 64 characters; where a decoded span touches a window's edge, a window that holds
 more of it is read too (a span that no window holds is not added). Their decoded spans are reconciled over the whole document: spans that windows
 agree on are scored together and the best set without overlaps is kept, if it passes the kind's own
-test and touches no base span. Null texts count as empty and have no spans; spans are in code points,
-end exclusive; a base span is never dropped or moved.
+test and touches no base span. The tagger adds forms that no pattern finds: addresses with a spaced
+sign, dotted cards, phones with brackets or 00 and no plus, and a kind of its own, secret (passwords,
+keys and tokens: runs of letters and digits). Null texts count as empty and have no spans; spans are in code points,
+end exclusive; a base span is never dropped or moved. Rows that repeat a doc_id get their answer each,
+rows without one are read too, an empty table trains on made examples alone; other columns are not read.
 """
 
 from __future__ import annotations
@@ -24,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import bounded_batches, map_batches, resident
-from .sequence_tagger import KINDS, TAGS, TRIGGER, Tagger, classes_of, spans_of
+from .sequence_tagger import KINDS, MORE_KINDS, TAGS, TRIGGER, Tagger, classes_of, spans_of
 
 WINDOW, STRIDE, MARGIN = 64, 32, 24
 
@@ -34,6 +37,13 @@ DOMAIN = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
 IP = re.compile(r"(?<![0-9])[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+#: What the tagger's secrets and phones are made of.
+SECRET = re.compile(r"[A-Za-z0-9_+/=-]{12,}")
+NUMBER = re.compile(r"[+(0-9][\x20().0-9-]+[0-9]")
+DIGITS = frozenset("0123456789")
+ALNUM = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789")
+DOMAIN_CHARS = ALNUM | frozenset(".-")
+OPEN = re.compile(r"[A-Za-z0-9_+/=-]{12,}|[+(]?[0-9][\x20().0-9-]+[0-9]")
 LOCAL_CHARS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 
 
@@ -123,18 +133,37 @@ def accepted(kind: str, s: str) -> bool:
         return bool(re.fullmatch(r"[0-9]{1,3}(\.[0-9]{1,3}){3}", s)) and good_ip(s)
     if kind == "card":
         return good_card(s)
-    return good_phone(s) and s[0] in "+0("
+    if kind == "secret":
+        return bool(SECRET.fullmatch(s) and re.search("[0-9]", s) and re.search("[A-Za-z]", s))
+    return good_phone(s) and (s.startswith(("+", "00")) or "(" in s) and bool(NUMBER.fullmatch(s))
+
+
+def snapped(kind: str, text: str, a: int, b: int) -> tuple[int, int]:
+    """A decoded span taken to the ends of the runs that it cuts."""
+    left = {"email": LOCAL_CHARS, "secret": ALNUM}.get(kind, DIGITS)
+    right = {"email": DOMAIN_CHARS, "secret": ALNUM}.get(kind, DIGITS)
+    while a > 0 and text[a - 1] in left:
+        a -= 1
+    while b < len(text) and text[b] in right:
+        b += 1
+    while kind == "email" and b > a and text[b - 1] in ".-":
+        b -= 1
+    return a, b
 
 
 def reconcile(text: str, found: dict[tuple[str, int, int], float], base: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
     """The set of accepted spans without overlaps that has the highest summed score, beside the base spans."""
     busy = sorted((a, b) for _, a, b in base)
     ok = []
+    scores: dict[tuple[str, int, int], float] = {}
     for (kind, a, b), score in found.items():
         while a < b and text[a].isspace():
             a += 1
         while b > a and text[b - 1].isspace():
             b -= 1
+        key = (kind, *snapped(kind, text, a, b))
+        scores[key] = scores.get(key, 0.0) + score
+    for (kind, a, b), score in scores.items():
         if score > 0 and TRIGGER.search(text, a, b) and accepted(kind, text[a:b]) and not any(x < b and a < y for x, y in busy):
             ok.append((b, a, kind, score))
     ok.sort()
@@ -197,7 +226,7 @@ def made_examples(n: int, seed: int) -> list[tuple[str, list[tuple[str, int, int
     number = lambda k: "".join(r.choice("0123456789") for _ in range(k))
     out = []
     for _ in range(n):
-        kind = r.choice((*KINDS, "none", "none"))
+        kind, lead, tail = r.choice((*KINDS, *MORE_KINDS, "none", "none")), "", ""
         if kind == "email":
             s = f"{word()}{r.choice(['', '.', '_', '-'])}{word()}{r.choice(['', number(2)])}{r.choice(['@', '@', '@', ' @ '])}{word()}.{r.choice(['com', 'org', 'example.com', 'net'])}"
         elif kind == "ip":
@@ -209,16 +238,34 @@ def made_examples(n: int, seed: int) -> list[tuple[str, list[tuple[str, int, int
             s = sep.join(d[i : i + 4] for i in range(0, 16, 4))
         elif kind == "phone":
             sep = r.choice([" ", "-", "."])
-            s = r.choice([f"+{number(2)}", f"+1 ({number(3)})", f"00{number(2)}"]) + sep + sep.join((number(3), number(3), number(r.randint(2, 4))))
+            s = r.choice([f"+{number(2)}", f"+1 ({number(3)})", f"00{number(2)}", f"({number(3)})", f"(0{number(2)})"]) + sep + sep.join((number(3), number(r.randint(3, 4))) if r.random() < 0.5 else (number(3), number(3), number(r.randint(2, 4))))
+        elif kind == "secret":
+            # A named value, or a bare key; letters and digits in any order.
+            letters = r.choice(["abcdef0123456789", "abcdefghijkmnpqrstuvwxyzABCDEFGHJKLMNPQRSTUVWXYZ23456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789"])
+            s = "".join(r.choice(letters) for _ in range(r.choice([16, 18, 20, 24, 32, 40])))
+            if r.random() < 0.6:
+                quote = r.choice(["", '"', "'"])
+                lead, tail = r.choice(["password", "passwd", "secret", "token", "api_key", "key", "auth"]) + r.choice(["=", " = ", ": ", ":"]) + quote, quote
+            if not (re.search("[0-9]", s) and re.search("[A-Za-z]", s)):
+                kind = "none"
         else:
-            s = r.choice([number(r.randint(1, 7)), f"{number(2)}:{number(2)}", f"{number(4)}-{number(2)}-{number(2)}", f"{number(1)}.{number(2)}", f"{word()} @ {word()}", f"v{number(1)}.{number(1)}.{number(2)}", f"{number(3)},{number(3)}", f"#{number(5)}"])
-        before, after = " ".join(word() for _ in range(r.randint(1, 4))) + r.choice([" ", " ", ": ", "\n"]), r.choice([" ", ". ", ", ", "\n"]) + " ".join(word() for _ in range(5))
-        text = (before + s + after)[-WINDOW:] if len(before) > WINDOW - 30 else (before + s + after)
+            s = r.choice([number(r.randint(1, 7)), f"{number(2)}:{number(2)}", f"{number(4)}-{number(2)}-{number(2)}", f"{number(1)}.{number(2)}", f"{word()} @ {word()}", f"v{number(1)}.{number(1)}.{number(2)}", f"{number(3)},{number(3)}", f"#{number(5)}", number(r.randint(8, 15)), f"{word()}-{word()}-{word()}-{number(4)}", f"{word()}{word()}{number(3)}", f"www.{word()}.org/{word()}/{number(5)}", f"{word().upper()}{number(2)}", f"{number(2)}-{number(3)}-{number(4)}"])
+        before, after = " ".join(word() for _ in range(r.randint(0, 4))) + r.choice([" ", " ", ": ", "\n"]) + lead, tail + r.choice([" ", ". ", ", ", "\n"]) + " ".join(word() for _ in range(9))
+        text = (before + s + after)[max(0, len(before) + len(s) - WINDOW + r.randint(0, 8)) :]
         at = text.index(s) if s in text else -1
         out.append((text[:WINDOW], [(kind, at, at + len(s))] if kind != "none" and 0 <= at and at + len(s) <= WINDOW else [] if kind == "none" else None))
     return [x for x in out if x[1] is not None]
 
 
+def unclear(piece: str, spans: list[tuple[str, int, int]]) -> bool:
+    """Whether a window holds something outside the base spans that the patterns say nothing of: a long run
+    of letters and digits, or a number of eight digits and more."""
+    for m in OPEN.finditer(piece):
+        if not any(a < m.end() and m.start() < b for _, a, b in spans) and (len(digits_of(m[0])) >= 8 or accepted("secret", m[0])):
+            return True
+    return False
+
+
 def sampled_windows(docs: DataFrame, sample_docs: int, per_doc: int, seed: int) -> list[tuple[str, list[tuple[str, int, int]]]]:
     """Windows of whole texts, drawn where the texts lie: of the sample_docs texts with the lowest hash of doc_id
     among those with a digit or sign, the per_doc windows with the lowest hash of doc_id and start."""
@@ -233,6 +280,8 @@ def sampled_windows(docs: DataFrame, sample_docs: int, per_doc: int, seed: int)
             spans, digest = base_spans(text), hashlib.sha256(text.encode("utf-8", "surrogatepass")).hexdigest()
             for s in heapq.nsmallest(per_doc, windows_of(text), key=lambda s: (zlib.crc32(f"{seed}:{doc}:{s}".encode()), s)):
                 inside = [(k, a - s, b - s) for k, a, b in spans if a < s + WINDOW and b > s]
+                if unclear(text[s : s + WINDOW], inside):
+                    continue
                 row = (at, digest, text[s : s + WINDOW], [x[0] for x in inside], [x[1] for x in inside], [x[2] for x in inside])
                 for column, value in zip(out.values(), row, strict=True):
                     column.append(value)
@@ -281,13 +330,13 @@ def _pack(weights: dict[str, np.ndarray]) -> tuple[str, int, bytes]:
 
 def all_spans(texts: list[str], finder: Finder) -> tuple[list, list]:
     bases = [base_spans(t) for t in texts]
-    order = {k: i for i, k in enumerate(KINDS)}
+    order = {k: i for i, k in enumerate(KINDS + MORE_KINDS)}
     more = finder.added(texts, bases)
     return bases, [sorted([*b, *m], key=lambda s: (order[s[0]], s[1], s[2])) for b, m in zip(bases, more, strict=True)]
 
 
 def find_personal_data(docs: DataFrame, weights: dict[str, np.ndarray]) -> DataFrame:
-    """Per row: base counts by kind, digest of the base spans, all spans, and how many the tagger added."""
+    """Per row: base counts by kind, digest of the base spans, all spans, how many they are and how many the tagger added."""
     bounded_batches(docs.sparkSession)
     packed = _pack(weights)
 
@@ -295,10 +344,10 @@ def find_personal_data(docs: DataFrame, weights: dict[str, np.ndarray]) -> DataF
         texts = [t or "" for t in batch.column(1).to_pylist()]
         bases, spans = all_spans(texts, _finder(*packed))
         count = lambda kind: [sum(s[0] == kind for s in b) for b in bases]
-        return {"doc_id": batch.column(0)} | {f"n_{k}": count(k) for k in KINDS} | {"base_sha256": [hashlib.sha256(joined(b).encode()).hexdigest() for b in bases], "spans": [joined(s) for s in spans], "n_added": [len(s) - len(b) for s, b in zip(spans, bases, strict=True)]}
+        return {"doc_id": batch.column(0)} | {f"n_{k}": count(k) for k in KINDS} | {"base_sha256": [hashlib.sha256(joined(b).encode()).hexdigest() for b in bases], "spans": [joined(s) for s in spans], "n_spans": [len(s) for s in spans], "n_added": [len(s) - len(b) for s, b in zip(spans, bases, strict=True)]}
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return map_batches(rows, run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
+    return map_batches(rows, run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long, n_added long")
 
 
 def masked(text: str, spans: list[tuple[str, int, int]]) -> str:

@@ -9,7 +9,9 @@ import numpy as np
 #: Classes of characters the model sees; letters, digits and blanks are pooled, signs stand alone.
 SIGNS = "@.+-_%()/:,;#=\n"
 KINDS = ("email", "ip", "card", "phone")
-TAGS = ("O", *(f"{p}-{k}" for k in KINDS for p in "BI"))
+#: What the tagger marks beside the kinds that patterns find.
+MORE_KINDS = ("secret",)
+TAGS = ("O", *(f"{p}-{k}" for k in KINDS + MORE_KINDS for p in "BI"))
 N_CLASS = 5 + len(SIGNS)
 
 

@@ -171,6 +171,8 @@ def encoder(path: str) -> WordEncoder:
     return resident(("words", path), lambda: WordEncoder(path))
 
 
+#: Places of segments are broadcast up to this many rows; beyond it they are shuffled.
+BROADCAST_SEGMENTS = 500_000
 SEGMENT = "part int, seq int, n_tokens long, doc_ids array<long>, lengths array<int>, payload binary"
 
 
@@ -229,15 +231,15 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int, segment
 def read_token_files(spark: SparkSession, segments: DataFrame) -> DataFrame:
     """Per document from the files: doc_id, start, n_tokens, ids_crc32."""
     # One number per partition of the writer goes to the driver; starts within a partition are a running sum.
-    totals = sorted(segments.groupBy("part").agg(F.sum("n_tokens").alias("n")).collect())
+    totals = sorted(segments.groupBy("part").agg(F.sum("n_tokens").alias("n"), F.count(F.lit(1)).alias("segments")).collect())
     starts, at = [], 0
-    for part, n in totals:
+    for part, n, _ in totals:
         starts.append((part, at))
         at += n
     base = F.broadcast(spark.createDataFrame(starts, "part int, base long"))
     within = Window.partitionBy("part").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
     places = segments.select("part", "seq", "n_tokens").withColumn("before", F.coalesce(F.sum("n_tokens").over(within), F.lit(0))).join(base, "part").select("part", "seq", (F.col("base") + F.col("before")).alias("first"))
-    placed = segments.join(F.broadcast(places) if len(starts) < 100_000 else places, ["part", "seq"]).select("first", "doc_ids", "lengths", "payload")
+    placed = segments.join(F.broadcast(places) if sum(t[2] for t in totals) <= BROADCAST_SEGMENTS else places, ["part", "seq"]).select("first", "doc_ids", "lengths", "payload")
 
     def run(batches):
         for batch in batches:

@@ -6,6 +6,9 @@ taken with 1, 4 and 16 segments; what survives gets its exact integer score. Com
 floor(scale * x), x as double. Vectors that are null, empty or hold null or non-finite components
 take no part; vectors meet vectors of their own length only; a query meets every row whose id
 differs from its own, so repeated rows count as often as they are there. Ties go to the smaller id.
+Each block of queries meets each block of rows in a group of its own, which gives k rows a query; these
+are merged. Rows without an id take no part, an empty table gives no rows, other columns are not read;
+scores beyond 64 bits stop at the largest or smallest 64-bit integer.
 """
 
 from __future__ import annotations
@@ -15,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import shuffle_partitions
+
 #: Rows of one block; blocks of queries meet blocks of rows.
 QUERY_BLOCK = 1024
 ROW_BLOCK = 8192
@@ -78,7 +83,7 @@ def search(rows: DataFrame, query_every: int = 100, k: int = 10, scale: float =
 
     def packed(frame: DataFrame, block_rows: int, name: str) -> tuple[DataFrame, int]:
         blocks = max(1, -(-frame.count() // block_rows))
-        at = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+        at = F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)).cast("int")
 
         def run(key, batch):
             values = batch.column("v").combine_chunks().flatten().to_numpy(zero_copy_only=False)
@@ -87,10 +92,12 @@ def search(rows: DataFrame, query_every: int = 100, k: int = 10, scale: float =
         return frame.withColumn("block", at).groupBy("block", "dim").applyInArrow(run, f"{name}_block int, dim int, {name}_ids binary, {name}_data binary"), blocks
 
     asked, n = packed(queries, QUERY_BLOCK, "q")
-    there, _ = packed(good, ROW_BLOCK, "x")
-    # Every block of rows is sent once to every block of queries, by an equi-join on the query block.
+    there, m = packed(good, ROW_BLOCK, "x")
+    # Every pair of blocks is a key of its own, so work spreads over as many tasks as there are pairs.
+    asked = asked.withColumn("x_block", F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
     there = there.withColumn("q_block", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
-    met = there.join(asked, ["q_block", "dim"])
+    keys = ["q_block", "x_block", "dim"]
+    met = there.repartition(shuffle_partitions(spark), *keys).join(asked.repartition(shuffle_partitions(spark), *keys), keys)
 
     def score(batches):
         for batch in batches:
