@@ -39,7 +39,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("language", language), ("near_duplicates", deduplicate), ("personal_data", mask), ("mixing", mix), ("byte_bpe", encode)]
 
-#: Training, rounding and byte-pair coding have no SQL form; no test holds the whole rows (README).
+#: Training, rounding and byte-pair coding have no SQL form; tests/llm/test_cases.py takes the stages again on lists.
 ORACLE_SQL = None
 
 
