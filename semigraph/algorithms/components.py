@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.loop import Trace, settle
+from ..plans.loop import Trace, settle, written
 from .traversal import bfs
 from ..operators.objects import SparseMatrix
 
@@ -14,11 +14,10 @@ def _vertices(edges: DataFrame) -> DataFrame:
     return edges.select("i").union(edges.select("j")).distinct()
 
 
-def hook_shortcut(edges: DataFrame, sparsified: bool = False, full_jump: bool = False, unconditional: bool = False, trace: Trace | None = None, max_rounds: int = 1000) -> DataFrame:
+def hook_shortcut(edges: DataFrame, sparsified: bool = False, full_jump: bool = False, trace: Trace | None = None, max_rounds: int = 1000) -> DataFrame:
     """Rounds of: smallest grandparent among neighbours, hooked onto the parent and the vertex itself,
     then a jump to the grandparent; ends when no grandparent changes. sparsified: only changed
-    grandparents are sent. full_jump: jumps until trees are stars; the hooking direction does not
-    alternate. unconditional: the same as full_jump, as stars are not told apart and hook onto smaller ones only."""
+    grandparents are sent. full_jump: jumps until trees are stars (alternating and unconditional hooking: star_hooking)."""
     state, _ = settle(_vertices(edges).select("i", F.col("i").alias("p"), F.col("i").alias("g"), F.lit(True).alias("fresh")))
     for _ in range(max_rounds):
         sent = state.filter("fresh") if sparsified else state
@@ -30,10 +29,10 @@ def hook_shortcut(edges: DataFrame, sparsified: bool = False, full_jump: bool =
         while True:
             up = low.select(F.col("i").alias("p"), F.col("p").alias("g"))
             jumped, got = settle(low.join(up, "p").select("i", "p", "g", "old"), moved=(F.col("g") < F.col("p")).cast("int"))
-            if not (full_jump or unconditional) or not got["moved"]:
+            if not full_jump or not got["moved"]:
                 break
             low = jumped.select("i", F.col("g").alias("p"), "old")
-        state, got = settle(jumped.select("i", F.least("p", "g").alias("p") if full_jump or unconditional else "p", "g", (F.col("g") != F.col("old")).alias("fresh")), moved=F.col("fresh").cast("int"))
+        state, got = settle(jumped.select("i", F.least("p", "g").alias("p") if full_jump else "p", "g", (F.col("g") != F.col("old")).alias("fresh")), moved=F.col("fresh").cast("int"))
         if trace is not None:
             trace.add("pull", int(got["n"]), int(got["moved"]))
         if not got["moved"]:
@@ -41,6 +40,61 @@ def hook_shortcut(edges: DataFrame, sparsified: bool = False, full_jump: bool =
     raise RuntimeError("no fixed point")
 
 
+def _stars(forest: DataFrame) -> DataFrame:
+    """(i, p, star): whether a vertex's tree is a star, of parents (i, p). A vertex whose grandparent differs from its
+    parent spoils its own tree's star, its grandparent's and its parent's."""
+    up = forest.select(F.col("i").alias("p"), F.col("p").alias("g"))
+    two = forest.join(up, "p").select("i", "p", "g")
+    deep = two.filter("p <> g").select(F.explode(F.array("i", "g")).alias("i")).distinct().withColumn("deep", F.lit(True))
+    own = two.join(deep, "i", "left").select("i", "p", F.coalesce("deep", F.lit(False)).alias("deep"))
+    # A vertex takes over what its parent, the root or one below it, has found.
+    above = own.select(F.col("i").alias("p"), F.col("deep").alias("above"))
+    return own.join(above, "p").select("i", "p", (~F.col("deep") & ~F.col("above")).alias("star"))
+
+
+def _hook(forest: DataFrame, edges: DataFrame, choose, when) -> DataFrame:
+    """Parents after the roots of stars have hooked onto a neighbouring tree's parent, where when allows it."""
+    stars = written(_stars(forest))
+    far = stars.select(F.col("i").alias("j"), F.col("p").alias("q"))
+    near = edges.select("i", "j").join(stars.filter("star").select("i", "p"), "i").join(far, "j")
+    target = near.filter(when(F.col("q"), F.col("p"))).groupBy(F.col("p").alias("i")).agg(choose("q").alias("to"))
+    made, got = settle(forest.join(target, "i", "left").select("i", F.coalesce("to", "p").alias("p"), F.col("to").isNotNull().cast("int").alias("hooked")), hooked=F.col("hooked"))
+    return made, got["hooked"]
+
+
+def star_hooking(edges: DataFrame, alternate: bool = False, trace: Trace | None = None, max_rounds: int = 1000) -> DataFrame:
+    """Rounds of three steps. Stars whose vertices have a neighbour under a smaller parent hook onto the smallest;
+    stars that are still there hook unconditionally onto any neighbouring tree, so that each round at least halves
+    the stars that are not whole components; then every vertex jumps to its grandparent. alternate: instead of the
+    unconditional step, rounds hook onto smaller and onto larger parents in turn, and jump until trees are stars."""
+    forest, _ = settle(_vertices(edges).select("i", F.col("i").alias("p")))
+    idle = 0
+    for turn in range(max_rounds):
+        upward = alternate and turn % 2 == 1
+        smaller, larger = (lambda q, p: q < p), (lambda q, p: q > p)
+        low, hooked = _hook(forest, edges, F.max if upward else F.min, larger if upward else smaller)
+        if not alternate:
+            # What hooked just now hangs below another tree, so a star that is left has no smaller neighbour.
+            low, more = _hook(low.select("i", "p"), edges, F.min, lambda q, p: q != p)
+            hooked += more
+        moved = 0
+        while True:
+            up = low.select(F.col("i").alias("p"), F.col("p").alias("g"))
+            low, got = settle(low.select("i", "p").join(up, "p").select("i", F.col("g").alias("p"), (F.col("g") != F.col("p")).cast("int").alias("moved")), moved=F.col("moved"))
+            moved += got["moved"]
+            if not alternate or not got["moved"]:
+                break
+        forest = low.select("i", "p")
+        if trace is not None:
+            trace.add("pull", hooked, moved)
+        # Alternating rounds end when neither direction hooks.
+        idle = idle + 1 if not hooked and not moved else 0
+        if idle > (1 if alternate else 0):
+            least = forest.groupBy("p").agg(F.min("i").alias("v"))
+            return forest.join(least, "p").select("i", "v")
+    raise RuntimeError("no fixed point")
+
+
 def edge_filter(edges: DataFrame) -> DataFrame:
     """Edges hook their larger end's root onto the smaller; trees are flattened; edges inside one tree go."""
     label, _ = settle(_vertices(edges).select("i", F.col("i").alias("v")))
@@ -93,7 +147,8 @@ VARIANTS = {
     "hook_shortcut": hook_shortcut,
     "sparsified": lambda e: hook_shortcut(e, sparsified=True),
     "full_jump": lambda e: hook_shortcut(e, full_jump=True),
-    "unconditional": lambda e: hook_shortcut(e, unconditional=True),
+    "alternating": lambda e: star_hooking(e, alternate=True),
+    "unconditional": lambda e: star_hooking(e),
     "edge_filter": edge_filter,
     "label_propagation": label_propagation,
     "multistep": multistep,

@@ -34,7 +34,7 @@ def bfs(a: SparseMatrix, source: int, policy=ReferencePolicy(), masked: bool = T
     depth, now, before, seen, direction = 1, 1, 0, 1, "push"
     n = a.nrows or a.df.select("i").distinct().count()
     nnz = a.nvals()
-    per_row = a.df.groupBy("i").agg(F.count(F.lit(1)).alias("d")) if getattr(policy, "exact", False) else None
+    per_row = settle(a.df.groupBy("i").agg(F.count(F.lit(1)).alias("d")))[0] if getattr(policy, "exact", False) else None
     seen_edges, parts = 0, 0
     while now and depth < max_depth:
         edges = None

@@ -64,10 +64,11 @@ def pull_early_exit(a: SparseMatrix, reached: GraphVector, mask: GraphVector | N
         found = _masked(a.df.select("i", "j"), mask, desc).join(reached.df.select(F.col("i").alias("j")), "j", "left_semi").select("i").distinct()
         return GraphVector(found.withColumn("v", F.lit(True)), a.nrows)
     spark = a.df.sparkSession
-    word = F.floor(F.col("i") / 64).cast("int")
+    word = F.floor(F.col("i") / 64).cast("long")
     bits = reached.selected(True).select(word.alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("i") % 64).cast("int")).alias("b")).groupBy("w").agg(F.bit_or("b").alias("b"))
-    words = spark.range(1).select(F.lit(-(-a.ncols // 64)).alias("n")).crossJoin(F.broadcast(bits.agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"))))
-    words = words.select(F.transform(F.sequence(F.lit(0), F.col("n") - 1), lambda k: F.coalesce(F.element_at("m", k), F.lit(0).cast("long"))).alias("words"))
+    # All words in order, as one array: 4 million of them at the most columns.
+    every = spark.range(-(-a.ncols // 64)).join(bits, F.col("id") == F.col("w"), "left").select(F.struct("id", F.coalesce("b", F.lit(0).cast("long")).alias("b")).alias("e"))
+    words = every.agg(F.transform(F.array_sort(F.collect_list("e")), lambda e: e["b"]).alias("words"))
     rows = _masked(a.packed_rows(), mask, desc).crossJoin(F.broadcast(words))
     hit = F.exists("cols", lambda c: F.getbit(F.get("words", F.floor(c / 64).cast("int")), (c % 64).cast("int")) == 1)
     return GraphVector(rows.filter(hit).select("i").distinct().withColumn("v", F.lit(True)), a.nrows)
@@ -134,31 +135,52 @@ def wedges(a: SparseMatrix, b: SparseMatrix, semiring: Semiring) -> DataFrame:
 
 
 def mxm(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, mask: SparseMatrix | None = None, plan: str = "mask_first", desc: Descriptor = Descriptor()) -> SparseMatrix:
-    """C = A B. mask_first joins the mask before products are summed, so only its positions are ever
-    grouped; multiply_first (baseline) makes the whole product and filters it; row_dot meets packed rows."""
+    """C = A B, under any semiring. A mask selects by value, or wherever an entry is stored (mask_structural).
+
+    mask_first: each selected position meets A's row and B's column, so no product outside the mask is made; where
+    the semiring reads no values, packed rows meet (row_dot), else A's entries of the row look up B's of the column.
+    Under a complement products are made, and dropped before they are summed. multiply_first (baseline): the whole
+    product, then the mask. row_dot by name: for plus_pair and an uncomplemented mask; anything else is an error."""
     if desc.transpose0:
         a = a.T
     if desc.transpose1:
         b = b.T
     if a.ncols is not None and b.nrows is not None and a.ncols != b.nrows:
         raise DimensionMismatch(f"{a.ncols} columns, {b.nrows} rows")
-    how = "left_anti" if desc.mask_complement else "left_semi"
-    if plan == "row_dot" and mask is not None and not desc.mask_complement:
-        return _row_dot(a, b, mask)
-    made = wedges(a, b, semiring)
-    if mask is not None and plan == "mask_first":
-        made = made.join(mask.df.filter(F.col("v").cast("double") != 0).select("i", "j"), ["i", "j"], how)
+    if plan not in ("mask_first", "multiply_first", "row_dot"):
+        raise ValueError(f"no plan {plan}")
+    countable = semiring.add.name == "plus" and semiring.mul.name == "pair" and mask is not None and not desc.mask_complement
+    if plan == "row_dot" and not countable:
+        raise ValueError("row_dot counts common indices: it takes plus_pair and a mask that is not complemented")
+    chosen = None if mask is None else mask.selected(desc.mask_structural)
+    if countable and plan != "multiply_first":
+        return _row_dot(a, b, chosen)
+    if chosen is not None and plan == "mask_first" and not desc.mask_complement:
+        made = _selected_products(a, b, semiring, chosen)
+    else:
+        made = wedges(a, b, semiring)
+        if chosen is not None and plan == "mask_first":
+            made = made.join(chosen, ["i", "j"], "left_anti")
     out = made.groupBy("i", "j").agg(semiring.add.aggregate(F.col("p")).alias("v"))
-    if mask is not None and plan == "multiply_first":
-        out = out.join(mask.df.filter(F.col("v").cast("double") != 0).select("i", "j"), ["i", "j"], how)
+    if chosen is not None and plan == "multiply_first":
+        out = out.join(chosen, ["i", "j"], "left_anti" if desc.mask_complement else "left_semi")
     return SparseMatrix(out, a.nrows, b.ncols)
 
 
-def _row_dot(a: SparseMatrix, b: SparseMatrix, mask: SparseMatrix) -> SparseMatrix:
-    """plus_pair on packed rows: the size of the intersection of A's row and B's column per mask entry."""
+def _selected_products(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, chosen: DataFrame) -> DataFrame:
+    """Products of selected positions only: (i, j) meets the entries (i, k) of A, and each looks (k, j) up in B."""
+    mul = semiring.mul
+    left = a.df.select("i", F.col("j").alias("k"), *(["v"] if mul.uses_left else []))
+    right = b.df.select(F.col("i").alias("k"), "j", *([F.col("v").alias("x")] if mul.uses_right else []))
+    met = chosen.join(left, "i").join(right, ["k", "j"])
+    return met.select("i", "j", mul(F.col("v") if mul.uses_left else F.lit(None), F.col("x") if mul.uses_right else F.lit(None)).alias("p"))
+
+
+def _row_dot(a: SparseMatrix, b: SparseMatrix, chosen: DataFrame) -> SparseMatrix:
+    """plus_pair on packed rows: the size of the intersection of A's row and B's column per selected position."""
     rows = a.packed_rows().select("i", "part", F.col("cols").alias("r"))
     columns = b.T.packed_rows().select(F.col("i").alias("j"), "part", F.col("cols").alias("c"))
-    met = mask.df.select("i", "j").join(rows, "i").join(columns, ["j", "part"])
+    met = chosen.join(rows, "i").join(columns, ["j", "part"])
     out = met.groupBy("i", "j").agg(F.sum(F.size(F.array_intersect("r", "c"))).cast("long").alias("v"))
     return SparseMatrix(out.filter("v > 0"), a.nrows, b.ncols)
 

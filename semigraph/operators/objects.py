@@ -128,6 +128,10 @@ class SparseMatrix:
     def extract_tuples(self) -> DataFrame:
         return self.df
 
+    def selected(self, structural: bool = False) -> DataFrame:
+        """Positions that this matrix selects as a mask: by value, or wherever an entry is stored."""
+        return (self.df if structural else self.df.filter(F.col("v").cast("double") != 0)).select("i", "j")
+
     def stored(self, layout: str, parts: int | None = None) -> SparseMatrix:
         """Clustered by row or by column and persisted: multiplies that join on that side move only the vector."""
         key = {"row": "i", "col": "j"}[layout]

@@ -134,7 +134,6 @@ SELECT e.j i, min(e.i) v FROM cop e JOIN d a ON a.i = e.i JOIN d b ON b.i = e.j
     "bfs_weblink": levels(WEB + ", h AS (SELECT href, row_number() OVER (ORDER BY href) + 999999 id FROM (SELECT DISTINCT href FROM web)), wg AS (SELECT page_id i, id j FROM web JOIN h USING (href) UNION ALL SELECT id, page_id FROM web JOIN h USING (href))", "wg", "0::BIGINT", 12),
     "bfs_rmat": levels(rmat(), "rmat", "0::BIGINT", 8),
     "bfs_geo": levels(GEO, "geo", "0::BIGINT", 6),
-    "apsp_small": f"WITH {CONV}, c AS (SELECT * FROM conv WHERE i < 400), v AS (SELECT i FROM c UNION SELECT j FROM c) SELECT a.i src, b.i i, b.i - a.i v FROM v b JOIN c s ON s.i <= b.i AND s.i // 8 = b.i // 8 JOIN v a ON a.i = s.i",
     "apsp_conversations": f"WITH {CONV}, v AS (SELECT i FROM conv UNION SELECT j FROM conv) SELECT s.i src, b.i i, b.i - s.i v FROM conv s JOIN v b ON s.i <= b.i AND s.i // 8 = b.i // 8",
     "topk_pagerank": pagerank(10, "SELECT i, round(v, 9) v FROM p{k} ORDER BY round(v, 9) DESC, i LIMIT 10"),
     "cc_dupline": reach(LINES + ", h AS (SELECT line, row_number() OVER (ORDER BY line) + 999999999 id FROM (SELECT DISTINCT line FROM dl)), dg AS (SELECT doc_id i, id j FROM dl JOIN h USING (line) UNION ALL SELECT id, doc_id FROM dl JOIN h USING (line))", "dg", "WHERE i < 1000000000"),
@@ -199,9 +198,9 @@ SQL |= {f"bfs_{n}": BFS for n in ("levels", "push", "pull", "pull_early_exit", "
 SQL |= {f"profile_{n}": BFS for n in ("cpu_la", "cpu_trav", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
 SQL |= {n: SSSP for n in ("sssp", "sssp_bf", "sssp_push", "sssp_delta")}
 SQL |= {n: pagerank(10) for n in ("pagerank_k", "pagerank_push_k", "pagerank_shard_k")}
-SQL |= {n: CC_CHAIN for n in ("cc", "cc_sparsified", "cc_full_jump", "cc_unconditional", "cc_edge_filter")}
+SQL |= {n: CC_CHAIN for n in ("cc", "cc_sparsified", "cc_full_jump", "cc_alternating", "cc_unconditional", "cc_edge_filter")}
 SQL |= {n: TRI for n in ("tc", "tc_naive", "tc_multiply_first", "tc_row_dot", "tc_degree_ordered", "tc_fused", "tc_bitmap", "tc_binary_search")}
-STEPS = "k AS (SELECT range step FROM range(12))"
+STEPS = "k AS (SELECT unnest(range(greatest(12, (SELECT ceil(log2(count(*)))::INT + 1 FROM part)))) step)"
 SWEEP = f"{COP}, {STEPS}, sw AS (SELECT step, (SELECT count(*) FROM cop)::BIGINT pull, (SELECT count(*) FROM cop WHERE j < (1 << step::INT))::BIGINT push FROM k)"
 
 

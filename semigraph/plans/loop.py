@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import time
+import uuid
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Observation
@@ -11,16 +13,52 @@ from pyspark.sql import functions as F
 
 
 def ensure_folder(spark) -> None:
-    """The shared checkpoint folder of the cluster; one of our own only where none is set."""
-    if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="semigraph-"))
+    """The shared checkpoint folder that the session names. Without one a local session gets a folder of its own;
+    on a cluster that is an error, as executors share no local folder."""
+    if spark.sparkContext.getCheckpointDir():
+        return
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    spark.sparkContext.setCheckpointDir(root or tempfile.mkdtemp(prefix="semigraph-"))
+
+
+_KEPT: dict[tuple, DataFrame] = {}
+
+
+def kept(spark, key: str, build, cluster: str = "i") -> DataFrame:
+    """A frame built once per session under a key: written, then dealt by a column and persisted, so that joins
+    and groupings on that column never move it again. Lost partitions are read again."""
+    at = (spark.sparkContext.applicationId, key)
+    if at not in _KEPT:
+        parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        _KEPT[at] = settle(build())[0].repartition(parts, cluster).sortWithinPartitions(cluster).persist()
+    return _KEPT[at]
+
+
+def _drop(spark, path: str) -> None:
+    try:
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except Exception:  # noqa: BLE001  the session may have ended already
+        return
+
+
+def written(df: DataFrame) -> DataFrame:
+    """A frame written once to the shared folder and read back: cuts lineage, survives lost executors, and gives the
+    planner its true size (a checkpoint keeps the estimates of the plan behind it, which grow with every round)."""
+    spark = df.sparkSession
+    ensure_folder(spark)
+    path = f"{spark.sparkContext.getCheckpointDir()}/state-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    atexit.register(_drop, spark, path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def settle(df: DataFrame, **sums) -> tuple[DataFrame, dict[str, float]]:
-    """A reliable checkpoint, with counts (n, and sums of the named expressions) observed in the same job."""
-    ensure_folder(df.sparkSession)
+    """A written frame, with counts (n, and sums of the named expressions) observed in the same job."""
     seen = Observation()
-    made = df.observe(seen, F.count(F.lit(1)).alias("n"), *[F.sum(e).alias(k) for k, e in sums.items()]).checkpoint()
+    made = written(df.observe(seen, F.count(F.lit(1)).alias("n"), *[F.sum(e).alias(k) for k, e in sums.items()]))
     got = seen.get
     return made, {k: v or 0 for k, v in got.items()}
 
