@@ -35,7 +35,7 @@ def bfs(a: SparseMatrix, source: int, policy=ReferencePolicy(), masked: bool = T
     n = a.nrows or a.df.select("i").distinct().count()
     nnz = a.nvals()
     per_row = settle(a.df.groupBy("i").agg(F.count(F.lit(1)).alias("d")))[0] if getattr(policy, "exact", False) else None
-    seen_edges, parts = 0, 0
+    seen_edges, parts, ranges = 0, 0, [(source, source)]
     while now and depth < max_depth:
         edges = None
         if per_row is not None:
@@ -47,11 +47,11 @@ def bfs(a: SparseMatrix, source: int, policy=ReferencePolicy(), masked: bool = T
             new = mxv_via_mxm(back, f, SEMIRINGS["plus_pair"]).df.select("i").join(_near(visited.select("i"), seen), "i", "left_anti")
         elif expand_contract:
             # Neighbours with their repeats first, then contraction to the new ones.
-            new = a.df.join(_near(frontier.select("i"), now), "i").select(F.col("j").alias("i")).distinct().join(_near(visited.select("i"), seen), "i", "left_anti")
+            new = a.within(ranges).df.join(_near(frontier.select("i"), now), "i").select(F.col("j").alias("i")).distinct().join(_near(visited.select("i"), seen), "i", "left_anti")
         elif hops > 1:
             new = _several(a, frontier, visited, hops, now, seen)
         elif direction == "push":
-            hit = a.df.join(_near(frontier.select("i"), now), "i").select(F.col("j").alias("i"))
+            hit = a.within(ranges).df.join(_near(frontier.select("i"), now), "i").select(F.col("j").alias("i"))
             hit = hit.join(_near(visited.select("i"), seen), "i", "left_anti") if masked else hit
             new = hit.distinct() if masked else hit.distinct().join(_near(visited.select("i"), seen), "i", "left_anti")
         elif early_exit and a.ncols:
@@ -64,7 +64,8 @@ def bfs(a: SparseMatrix, source: int, policy=ReferencePolicy(), masked: bool = T
             new = new if masked else new.join(_near(visited.select("i"), seen), "i", "left_anti")
         if "v" not in new.columns:
             new = new.withColumn("v", F.lit(depth + 1))
-        frontier, got = settle(new.select("i", F.col("v").cast("int").alias("v")))
+        frontier, got = settle(new.select("i", F.col("v").cast("int").alias("v")), a.nrows)
+        ranges = got["ranges"]
         if trace is not None:
             trace.add(direction, now, seen)
         before, now = now, int(got["n"])
@@ -119,14 +120,15 @@ def sssp(a: SparseMatrix, source: int, policy=ReferencePolicy(), sparsified: boo
     dist, _ = settle(_start(spark, source, 0, kind))
     frontier, now, before, seen, direction = dist, 1, 0, 1, "push"
     n, nnz = a.nrows or a.df.select("i").distinct().count(), a.nvals()
-    back = a.T
+    back, ranges = a.T, [(source, source)]
     for _ in range(n + 1):
         direction = policy.choose(State(direction, now, before, n - seen, n, nnz))
-        f = GraphVector(frontier, a.nrows, now)
+        f = GraphVector(frontier, a.nrows, now, ranges)
         new = (push if direction == "push" else pull)(back, f, SEMIRINGS["min_plus"]).df
         both = dist.withColumnRenamed("v", "old").join(new, "i", "full_outer")
         better = F.col("v").isNotNull() & (F.col("old").isNull() | (F.col("v") < F.col("old")))
-        state, got = settle(both.select("i", F.least("old", "v").alias("v"), better.alias("better")), better=F.col("better").cast("int"))
+        state, got = settle(both.select("i", F.least("old", "v").alias("v"), better.alias("better")), a.nrows, F.col("better") if sparsified else None, better=F.col("better").cast("int"))
+        ranges = got["ranges"]
         if trace is not None:
             trace.add(direction, now, seen)
         dist = state.select("i", "v")

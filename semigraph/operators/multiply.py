@@ -38,9 +38,9 @@ def pull(a: SparseMatrix, x: GraphVector, semiring: Semiring, mask: GraphVector
 
 
 def push(a: SparseMatrix, x: GraphVector, semiring: Semiring, mask: GraphVector | None = None, desc: Descriptor = Descriptor()) -> GraphVector:
-    """Column by column of the stored entries of x; the mask acts on the products before they are
-    shuffled (mask_when merge), or on the result (after)."""
-    made = _products(a.df, _small(x), semiring)
+    """Column by column of the stored entries of x, whose ranges (where located) keep the scan to their columns; the
+    mask acts on the products before they are shuffled (mask_when merge), or on the result (after)."""
+    made = _products(a.within(x.ranges, "j").df, _small(x), semiring)
     if desc.mask_when == "merge":
         made = _masked(made, mask, desc)
     out = made.groupBy("i").agg(semiring.add.aggregate(F.col("p")).alias("v"))
@@ -106,6 +106,8 @@ def mxv(a: SparseMatrix, x: GraphVector, semiring: Semiring, mask: GraphVector |
     if a.ncols is not None and x.size is not None and a.ncols != x.size:
         raise DimensionMismatch(f"{a.ncols} columns, vector of {x.size}")
     direction = desc.direction
+    if direction != "pull":
+        x = x.located()
     if direction == "auto":
         direction = "push" if x.size and x.nvals() <= x.size / 10 else "pull"
     return write(out, (push if direction == "push" else pull)(a, x, semiring, mask, desc), mask, desc)

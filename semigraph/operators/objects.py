@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.algebra import MONOIDS, Monoid
+from ..plans.loop import covered, marks
 
 
 class DimensionMismatch(ValueError):
@@ -37,8 +38,8 @@ class Descriptor:
 class GraphVector:
     """Stored entries (i, v) of a vector of a given size; absent means the identity of the semiring in use."""
 
-    def __init__(self, df: DataFrame, size: int | None = None, nvals: int | None = None):
-        self.df, self.size, self._nvals = df.select("i", "v"), size, nvals
+    def __init__(self, df: DataFrame, size: int | None = None, nvals: int | None = None, ranges: list[tuple[int, int]] | None = None):
+        self.df, self.size, self._nvals, self.ranges = df.select("i", "v"), size, nvals, ranges
 
     @classmethod
     def new(cls, spark: SparkSession, size: int, domain: str = "long") -> GraphVector:
@@ -65,8 +66,15 @@ class GraphVector:
             self._nvals = self.df.count()
         return self._nvals
 
+    def located(self) -> GraphVector:
+        """The same vector with its count and the index ranges that cover it, by one aggregation."""
+        if self.ranges is not None or not self.size:
+            return self
+        got = self.df.agg(F.count(F.lit(1)).alias("n"), *marks(self.size)).first().asDict()
+        return GraphVector(self.df, self.size, got["n"], covered(got, self.size))
+
     def dup(self) -> GraphVector:
-        return GraphVector(self.df, self.size, self._nvals)
+        return GraphVector(self.df, self.size, self._nvals, self.ranges)
 
     def clear(self) -> GraphVector:
         return GraphVector(self.df.limit(0), self.size, 0)
@@ -138,6 +146,16 @@ class SparseMatrix:
         spread = self.df.repartition(parts, key) if parts else self.df.repartition(key)
         return SparseMatrix(spread.sortWithinPartitions(key).persist(), self.nrows, self.ncols, self._nvals, layout)
 
+    def within(self, ranges: list[tuple[int, int]] | None, axis: str = "i") -> SparseMatrix:
+        """Entries whose index lies in one of the closed ranges (None: all). On a matrix stored in order of that axis
+        the scan skips cached batches and row groups whose bounds miss every range."""
+        if ranges is None:
+            return self
+        keep = F.lit(False)
+        for low, high in ranges:
+            keep = keep | F.col(axis).between(low, high)
+        return SparseMatrix(self.df.filter(keep), self.nrows, self.ncols, layout=self.layout)
+
     def packed_rows(self, chunk: int = 1 << 16) -> DataFrame:
         """(i, part, cols, vals) with at most chunk columns of a row together, so hub rows stay bounded."""
         at = F.floor(F.col("j") / chunk).alias("part")

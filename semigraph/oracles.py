@@ -219,6 +219,7 @@ def low_product(name: str, edges: str) -> str:
 GRID = "gc AS (SELECT range i FROM range(400)), ge AS (SELECT i, i + 1 j FROM gc WHERE i % 20 < 19 UNION ALL SELECT i, i + 20 FROM gc WHERE i < 380), grid AS (SELECT i, j FROM ge UNION ALL SELECT j, i FROM ge)"
 SQL |= {
     "input_sweep": f"WITH {SWEEP} SELECT step, pull, push FROM sw",
+    "input_sweep_executed": f"WITH {COP}, {STEPS}, su AS (SELECT step, coalesce((SELECT sum(v) FROM cop WHERE j < (1 << step::INT)), 0)::BIGINT y FROM k) SELECT step, y pushed, y pulled FROM su",
     "mask_sweep": f"WITH {COP}, {STEPS} SELECT step, (SELECT count(*) FROM cop WHERE i < (1 << step::INT))::BIGINT pull_masked, (SELECT count(*) FROM cop WHERE j % 4 = 0)::BIGINT push_masked FROM k",
     "speedup_summary": f"WITH {SWEEP} SELECT round(exp(avg(ln(pull / push))), 6) geomean, round(max(pull / push), 6) peak FROM sw WHERE push > 0",
     "row_length_sweep": f"WITH {COP2}, {CUSTPART}, {CHAIN}, sp AS (SELECT DISTINCT l_suppkey i, l_partkey j FROM lineitem) " + " UNION ALL ".join(row_facts(*x) for x in (("supppart", "sp"), ("custpart", "cp"), ("copurchase2", "cop2"), ("userchain", "chain"))),

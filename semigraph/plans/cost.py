@@ -65,6 +65,29 @@ def balance(a: SparseMatrix, split: str, parts: int) -> DataFrame:
     return placed.groupBy(F.spark_partition_id().alias("part")).agg(F.count(F.lit(1)).alias("entries"))
 
 
+def entries_read(df: DataFrame) -> int:
+    """Runs a plan and gives the entries that its scans of matrices (i, j, ..) handed on, after those they skipped by bounds."""
+    df.collect()
+    total = 0
+
+    def walk(node) -> None:
+        nonlocal total
+        name = node.nodeName()
+        if name == "AdaptiveSparkPlan":
+            walk(node.executedPlan())
+        elif "QueryStage" in name:
+            walk(node.plan())
+        elif name.startswith(("InMemoryTableScan", "Scan")):
+            if {"i", "j"} <= {node.output().apply(k).name() for k in range(node.output().size())}:
+                total += node.metrics().apply("numOutputRows").value()
+        else:
+            for at in range(node.children().size()):
+                walk(node.children().apply(at))
+
+    walk(df._jdf.queryExecution().executedPlan())
+    return total
+
+
 def meps(nnz: int, seconds: float) -> float:
     """Million edges of the undirected graph per second."""
     return nnz / 1e6 / seconds

@@ -9,11 +9,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..algorithms import components, ranking, traversal, triangles
-from ..operators.multiply import ROW_SPLIT_FROM
-from ..operators.objects import SparseMatrix
+from ..functions.algebra import SEMIRINGS
+from ..operators.multiply import ROW_SPLIT_FROM, pull, push
+from ..operators.objects import GraphVector, SparseMatrix
 from ..sources import graphs
 from . import cost
-from .loop import settle
+from .loop import kept, settle
 
 LEAST_STEPS = 12
 
@@ -36,6 +37,20 @@ def input_sweep(s, d) -> DataFrame:
     return _tall(graphs.copurchase(s, d).agg(*counts), steps, "pull", "push")
 
 
+def input_sweep_executed(s, d) -> DataFrame:
+    """(step, pushed, pulled): sums of A x by either kernel, executed for vectors of ones on the first 2^step vertices.
+    The matrix lies by column, so that pushes skip what lies outside the vector's ranges."""
+    n = graphs.table(s, d, "part").count()
+    back = SparseMatrix(kept(s, f"copurchase:{d}", lambda: graphs.copurchase(s, d)), n, n).T
+    out = None
+    for k in _steps(s, d):
+        x = GraphVector(s.range(min(n, 1 << k)).select(F.col("id").alias("i"), F.lit(1).cast("long").alias("v")), n, min(n, 1 << k), [(0, min(n, 1 << k) - 1)])
+        sums = [f(back, x, SEMIRINGS["plus_times"]).df.agg(F.coalesce(F.sum("v"), F.lit(0)).cast("long").alias(name)) for f, name in ((push, "pushed"), (pull, "pulled"))]
+        got = sums[0].crossJoin(sums[1]).select(F.lit(k).cast("long").alias("step"), "pushed", "pulled")
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
 def mask_sweep(s, d) -> DataFrame:
     """(step, pull_masked, push_masked): masks of the first 2^step vertices, vector of every fourth; one pass."""
     steps = _steps(s, d)
@@ -121,4 +136,4 @@ def masked_product_suite(s, d) -> DataFrame:
     return out
 
 
-KEYS = "input_sweep mask_sweep row_length_sweep speedup_summary triangle_suite component_suite weak_scaling_sizes code_lines sssp_parents sql_bfs masked_product_suite".split()
+KEYS = "input_sweep input_sweep_executed mask_sweep row_length_sweep speedup_summary triangle_suite component_suite weak_scaling_sizes code_lines sssp_parents sql_bfs masked_product_suite".split()

@@ -8,9 +8,12 @@ import time
 import uuid
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
+BLOCKS = 1 << 15  # bits of the bitmap that Spark's aggregate makes
+INTERVALS = 32  # ranges of a scan's filter
+
 
 def ensure_folder(spark) -> None:
     """The shared checkpoint folder that the session names. Without one a local session gets a folder of its own;
@@ -55,12 +58,45 @@ def written(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def settle(df: DataFrame, **sums) -> tuple[DataFrame, dict[str, float]]:
-    """A written frame, with counts (n, and sums of the named expressions) observed in the same job."""
+def settle(df: DataFrame, size: int | None = None, among: Column | None = None, **sums) -> tuple[DataFrame, dict]:
+    """A written frame, with counts (n, and sums of the named expressions) observed in the same job. size: also
+    ranges, index ranges that cover column i of the rows among which it is asked (all by default)."""
     seen = Observation()
-    made = written(df.observe(seen, F.count(F.lit(1)).alias("n"), *[F.sum(e).alias(k) for k, e in sums.items()]))
+    made = written(df.observe(seen, F.count(F.lit(1)).alias("n"), *[F.sum(e).alias(k) for k, e in sums.items()], *marks(size, among)))
     got = seen.get
-    return made, {k: v or 0 for k, v in got.items()}
+    return made, {k: v or 0 for k, v in got.items()} | {"ranges": covered(got, size)}
+
+
+def marks(size: int | None, among: Column | None = None) -> list[Column]:
+    """Aggregates that mark the blocks of column i in a bitmap of 4 KB, however many rows there are, and count the
+    indices outside 0 .. size-1, for which no block can stand."""
+    if not size:
+        return []
+    among = F.lit(True) if among is None else among
+    inside = F.col("i").between(0, size - 1)
+    block = F.floor(F.col("i") / F.lit(-(-size // BLOCKS))).cast("long")
+    return [F.bitmap_construct_agg(F.when(among & inside, block)).alias("blocks"), F.count_if(among & ~inside).alias("beyond")]
+
+
+def covered(got: dict, size: int | None) -> list[tuple[int, int]] | None:
+    """Ranges of what marks found; None where they cannot cover all rows."""
+    return None if not size or got["beyond"] else intervals(got["blocks"], size)
+
+
+def intervals(bitmap: bytes, size: int, most: int = INTERVALS) -> list[tuple[int, int]]:
+    """At most so many closed index ranges that cover the marked blocks: the widest gaps stay out."""
+    width, found = -(-size // BLOCKS), []
+    for at, byte in enumerate(bitmap):
+        for bit in range(8) if byte else ():
+            if byte >> bit & 1:
+                low = (at * 8 + bit) * width
+                if found and found[-1][1] + 1 == low:
+                    found[-1][1] = low + width - 1
+                else:
+                    found.append([low, low + width - 1])
+    gaps = sorted(range(1, len(found)), key=lambda k: found[k - 1][1] - found[k][0])
+    cuts = [0, *sorted(gaps[: most - 1]), len(found)]
+    return [(found[a][0], found[b - 1][1]) for a, b in zip(cuts, cuts[1:]) if a < b]
 
 
 @dataclass
