@@ -33,6 +33,16 @@ def colour(edges: DataFrame, seed: int = 1) -> DataFrame:
     return done
 
 
+def conflicts(edges: DataFrame, colours: DataFrame) -> DataFrame:
+    """(clashes, bare, repeated): edges whose ends share a colour, vertices without one, vertices with several rows;
+    all 0 for a proper colouring."""
+    ends = edges.filter("i <> j").select("i", "j")
+    met = ends.join(colours.select("i", F.col("v").alias("a")), "i").join(colours.select(F.col("i").alias("j"), F.col("v").alias("b")), "j")
+    bare = ends.select("i").union(ends.select("j")).distinct().join(colours, "i", "left_anti").agg(F.count(F.lit(1)).alias("bare"))
+    repeated = colours.groupBy("i").count().agg(F.count_if(F.col("count") > 1).alias("repeated"))
+    return met.agg(F.count_if(F.col("a") == F.col("b")).alias("clashes")).crossJoin(bare).crossJoin(repeated)
+
+
 def betweenness(edges: DataFrame, sources: list[int]) -> DataFrame:
     """(i, v): dependency of the sources' shortest paths on each vertex; the whole betweenness (each pair in both
     directions) if the sources are all vertices. A row holds one vertex's path counts for 16 sources."""

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.algebra import SEMIRINGS
-from ..operators.multiply import BROADCAST_ENTRIES, mxm, mxv_via_mxm, pull, pull_early_exit, push
+from ..operators.multiply import BROADCAST_ENTRIES, gemv, mxm, mxv_via_mxm, pull, pull_early_exit, push
 from ..operators.objects import Descriptor, GraphVector, SparseMatrix
 from ..plans.direction import ReferencePolicy, State
 from ..plans.loop import Trace, settle
@@ -90,6 +90,20 @@ def _several(a: SparseMatrix, frontier: DataFrame, visited: DataFrame, hops: int
     return found.groupBy("i").agg(F.min("v").alias("v"))
 
 
+def bfs_dense(a: SparseMatrix, source: int) -> DataFrame:
+    """(i, v) depths by the dense baseline: each round visits every cell of the matrix. For tiny matrices only."""
+    back, ring = a.T, SEMIRINGS["plus_pair"]
+    visited = frontier = _start(a.df.sparkSession, source, 1, "long")
+    depth = 1
+    while True:
+        depth += 1
+        new = gemv(back, GraphVector(frontier, a.nrows), ring, GraphVector(visited, a.nrows), UNSEEN).df
+        frontier, got = settle(new.select("i", F.lit(depth).cast("long").alias("v")))
+        if not got["n"]:
+            return visited
+        visited = visited.unionByName(frontier)
+
+
 def bfs_parents(a: SparseMatrix, source: int) -> DataFrame:
     """(i, v) where v is the smallest neighbour one level nearer; the source is its own parent."""
     levels = bfs(a, source)

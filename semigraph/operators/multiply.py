@@ -49,6 +49,38 @@ def push(a: SparseMatrix, x: GraphVector, semiring: Semiring, mask: GraphVector
     return GraphVector(out, a.nrows)
 
 
+def pull_split(a: SparseMatrix, x: GraphVector, semiring: Semiring, split: str, parts: int) -> GraphVector:
+    """A pull over a matrix dealt to parts by whole rows (row), by equal shares of entries (nonzero: rows may straddle)
+    or of entries and rows together (merge: many empty rows cost too). Each part reduces its rows before the shuffle;
+    what parts hold of one row is joined by the monoid."""
+    return pull(SparseMatrix(dealt(a, split, parts).filter("j is not null"), a.nrows, a.ncols), x, semiring)
+
+
+def dealt(a: SparseMatrix, split: str, parts: int) -> DataFrame:
+    """Entries in range parts of a split; under merge, rows stand with them as entries without column."""
+    if split not in ("row", "nonzero", "merge"):
+        raise ValueError(f"no split {split}")
+    if split == "row":
+        return a.df.repartitionByRange(parts, "i")
+    df = a.df
+    if split == "merge":
+        rows = df.sparkSession.range(a.nrows).select(F.col("id").alias("i"), F.lit(None).cast("long").alias("j"), F.lit(None).cast(df.schema["v"].dataType).alias("v"))
+        df = df.unionByName(rows)
+    return df.repartitionByRange(parts, "i", "j")
+
+
+def push_salted(a: SparseMatrix, x: GraphVector, semiring: Semiring, heavy: int = 1 << 20, salts: int = 64) -> GraphVector:
+    """A push whose hub columns (more than heavy entries) are cut over salts by row, with their vector entries copied to
+    each: for vectors too large to broadcast, where a hub's column would land in one task. Hubs stay distributed."""
+    entries = a.within(x.ranges, "j").df
+    hubs = entries.groupBy("j").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > heavy).select("j", F.lit(salts).alias("salts"))
+    right = x.df.select(F.col("i").alias("j"), F.col("v").alias("x")).join(hubs, "j", "left")
+    spread = right.select("j", "x", F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)).alias("salt"))
+    left = entries.join(hubs, "j", "left").select("i", "j", "v", F.pmod(F.xxhash64("i"), F.coalesce("salts", F.lit(1))).cast("int").alias("salt"))
+    made = left.join(spread, ["j", "salt"]).select("i", semiring.mul(F.col("v"), F.col("x")).alias("p"))
+    return GraphVector(made.groupBy("i").agg(semiring.add.aggregate(F.col("p")).alias("v")), a.nrows)
+
+
 def push_stages(a: SparseMatrix, x: GraphVector, semiring: Semiring) -> dict[str, DataFrame]:
     """Expansion, products, products in order of output index, and their segmented reduction."""
     expanded = a.df.join(x.df.select(F.col("i").alias("j"), F.col("v").alias("x")), "j")

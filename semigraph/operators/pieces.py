@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.algebra import BinaryOp, Monoid
+from ..plans.loop import settle
 from .objects import GraphVector, SparseMatrix
 
 
@@ -128,15 +129,18 @@ def assign(w: GraphVector, what, mask: GraphVector | None = None, complement: bo
 
 
 def degree_relabel(a: SparseMatrix) -> DataFrame:
-    """(id, at): positions by (degree, id). A range sort and per-partition offsets, no global window."""
-    spark = a.df.sparkSession
-    by_degree = degrees(a).df.groupBy("v").count().collect()  # one row per distinct degree
+    """(id, at): positions by (degree, id), from a range sort over both (so that a degree which most vertices share is
+    split) and the offsets of its parts."""
+    return positions(degrees(a).df, "v", "i").select(F.col("i").alias("id"), "at")
+
+
+def positions(df: DataFrame, *keys: str) -> DataFrame:
+    """Rows with at, their place in the order of keys that together are unique. One row per range part goes to the driver."""
+    ordered, _ = settle(df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("p", F.spark_partition_id()))
     starts, at = [], 0
-    for v, n in sorted((r["v"], r["count"]) for r in by_degree):
-        starts.append((v, at))
+    for p, n in sorted(tuple(r) for r in ordered.groupBy("p").count().collect()):
+        starts.append((p, at))
         at += n
-    from pyspark.sql import Window
-
-    base = F.broadcast(spark.createDataFrame(starts or [(0, 0)], "v long, base long"))
-    within = F.row_number().over(Window.partitionBy("v").orderBy("i")) - 1
-    return degrees(a).df.join(base, "v").select(F.col("i").alias("id"), (F.col("base") + within).alias("at"))
+    base = F.broadcast(df.sparkSession.createDataFrame(starts or [(0, 0)], "p int, base long"))
+    within = F.row_number().over(Window.partitionBy("p").orderBy(*keys)) - 1
+    return ordered.join(base, "p").withColumn("at", F.col("base") + within).drop("p", "base")

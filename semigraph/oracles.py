@@ -93,6 +93,15 @@ SQL: dict[str, str] = {
     "tril": f"WITH {COP2} SELECT i, j, v FROM cop2 WHERE i > j",
     "degree_relabel": f"WITH {COP}, d AS (SELECT i, count(*) c FROM cop GROUP BY 1) SELECT i id, row_number() OVER (ORDER BY c, i) - 1 AS at FROM d",
     "gemv": "SELECT * FROM (VALUES (5::BIGINT, 1::BIGINT), (3, 0), (1, 0), (6, 0)) t(i, v) WHERE false UNION ALL SELECT i, count(*)::BIGINT v FROM (VALUES (5,0),(5,2),(5,3),(0,2),(0,4),(0,5),(2,5),(2,7),(3,2),(3,4),(3,7),(4,1),(4,6),(7,6),(7,4),(7,3),(6,1),(6,5),(1,6),(1,0)) e(i, j) WHERE j IN (0, 2, 3) GROUP BY 1",
+    "mxv_push_salted": MXV + " GROUP BY 1",
+    "mxv_row_split": MXV + " GROUP BY 1",
+    "mxv_nonzero_split": MXV + " GROUP BY 1",
+    "mxv_merge_path": MXV + " GROUP BY 1",
+    "colouring_conflicts": "SELECT 0::BIGINT clashes, 0::BIGINT bare, 0::BIGINT repeated",
+    "bfs_dense": "SELECT * FROM (VALUES (5::BIGINT, 1::BIGINT), (0, 2), (2, 2), (3, 2), (4, 3), (7, 3), (1, 4), (6, 4)) t(i, v)",
+    "rgg_graph": """WITH a AS (SELECT range id, (((range * 2654435761 + 42) % 2147483648) * 1103515245 + 12345) % 2147483648 a FROM range(500)),
+p AS (SELECT id, a // 65536 % 1000 x, ((a * 1103515245 + 12345) % 2147483648) // 65536 % 1000 y FROM a)
+SELECT u.id i, w.id j, 1::BIGINT v FROM p u JOIN p w ON u.id <> w.id AND (u.x - w.x) * (u.x - w.x) + (u.y - w.y) * (u.y - w.y) <= 6400""",
     "mxv_pull": MXV + " GROUP BY 1",
     "mxv_push": MXV + " GROUP BY 1",
     "mxv_via_mxm": MXV + " GROUP BY 1",
@@ -195,7 +204,7 @@ SELECT e.j i, min(e.i) v FROM cop e JOIN d a ON a.i = e.i JOIN d b ON b.i = e.j
     "scan_lineitem": "SELECT l_orderkey, l_linenumber, l_quantity FROM lineitem WHERE l_quantity >= 45",
 }
 SQL |= {f"bfs_{n}": BFS for n in ("levels", "push", "pull", "pull_early_exit", "no_reuse", "no_mask", "via_mxm", "expand_contract", "several_hops", "edge_fraction", "two_thresholds", "unvisited_edges", "bytes_policy", "local_la")}
-SQL |= {f"profile_{n}": BFS for n in ("cpu_la", "cpu_trav", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
+SQL |= {f"profile_{n}": BFS for n in ("cpu_la", "cpu_trav", "cpu_work", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
 SQL |= {n: SSSP for n in ("sssp", "sssp_bf", "sssp_push", "sssp_delta")}
 SQL |= {n: pagerank(10) for n in ("pagerank_k", "pagerank_push_k", "pagerank_shard_k")}
 SQL |= {n: CC_CHAIN for n in ("cc", "cc_sparsified", "cc_full_jump", "cc_alternating", "cc_unconditional", "cc_edge_filter")}

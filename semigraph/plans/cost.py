@@ -54,15 +54,9 @@ def mxm_size_estimate(a: SparseMatrix, b: SparseMatrix, share: float = 0.1, seed
 
 def balance(a: SparseMatrix, split: str, parts: int) -> DataFrame:
     """(part, entries) under row split, nonzero split (rows may straddle) or merge path (rows count too)."""
-    df = a.df.select("i", "j")
-    if split == "row":
-        placed = df.repartitionByRange(parts, "i")
-    elif split == "nonzero":
-        placed = df.repartitionByRange(parts, "i", "j")
-    else:
-        marks = a.df.sparkSession.range(a.nrows).select(F.col("id").alias("i"), F.lit(-1).cast("long").alias("j"))
-        placed = df.unionByName(marks).repartitionByRange(parts, "i", "j")
-    return placed.groupBy(F.spark_partition_id().alias("part")).agg(F.count(F.lit(1)).alias("entries"))
+    from ..operators.multiply import dealt
+
+    return dealt(a, split, parts).groupBy(F.spark_partition_id().alias("part")).agg(F.count(F.lit(1)).alias("entries"))
 
 
 def entries_read(df: DataFrame) -> int:

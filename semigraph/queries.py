@@ -114,6 +114,10 @@ def _balance(split: str) -> Query:
     return run
 
 
+def _split(how: str) -> Query:
+    return lambda s, d: multiply.pull_split(_matrix(s, d), _vector(s, d), PT, how, int(s.conf.get("spark.sql.shuffle.partitions"))).df
+
+
 def _tall(s, d) -> DataFrame:
     return graphs.table(s, d, "part").select(F.col("p_partkey").alias("i"), F.array(*[((F.col("p_partkey") * (k + 3)) % 7).cast("long") for k in range(4)]).alias("vals"))
 
@@ -194,6 +198,10 @@ OPERATIONS: dict[str, Query] = {
     "vxm": lambda s, d: multiply.vxm(GraphVector(graphs.table(s, d, "customer").select(F.col("c_custkey").alias("i"), (F.col("c_custkey") % 3).alias("v"))), SparseMatrix(graphs.custpart(s, d)), PT).df,
     "mxv_via_mxm": lambda s, d: multiply.mxv_via_mxm(_matrix(s, d), _vector(s, d), PT).df,
     "pull_early_exit": lambda s, d: multiply.pull_early_exit(_matrix(s, d), _vector(s, d, 40)).df.select("i"),
+    "mxv_push_salted": lambda s, d: multiply.push_salted(_matrix(s, d), _vector(s, d), PT, heavy=64, salts=8).df,
+    "mxv_row_split": _split("row"),
+    "mxv_nonzero_split": _split("nonzero"),
+    "mxv_merge_path": _split("merge"),
     "spmm": _spmm("auto"),
     "spmm_row_split": _spmm("row"),
     "spmm_nonzero_split": _spmm("nonzero"),
@@ -219,6 +227,7 @@ ALGORITHMS: dict[str, Query] = {
     "bfs_unvisited_edges": _bfs(policy=direction.UnvisitedEdgePolicy()),
     "bfs_bytes_policy": _bfs(policy=direction.BytesPolicy()),
     "bfs_local_la": _local_la,
+    "bfs_dense": lambda s, d: traversal.bfs_dense(_running(s), 5),
     "bfs_parents": lambda s, d: traversal.bfs_parents(_matrix(s, d), 0),
     "bfs_multi": lambda s, d: traversal.bfs_multi(_matrix(s, d), [0, 1, 2]).select("src", "i", F.col("v").cast("long").alias("v")),
     "bfs_userchain": lambda s, d: traversal.bfs(SparseMatrix(settle(graphs.userchain(s, d))[0]), int(graphs.table(s, d, "events").filter("user_id = 8").agg(F.min_by("event_id", F.struct("ts", "event_id"))).first()[0]), hops=8).select("i", F.col("v").cast("long").alias("v")),
@@ -250,9 +259,10 @@ ALGORITHMS: dict[str, Query] = {
     "clustering_coeff": lambda s, d: _round(triangles.clustering(_edges(s, d))),
     "transitivity": lambda s, d: triangles.transitivity(_edges(s, d)).select(F.round("v", 9).alias("v")),
     "colouring": lambda s, d: extras.colour(graphs.copurchase2(s, d)),
+    "colouring_conflicts": lambda s, d: extras.conflicts(_low2(s, d).df, extras.colour(_low2(s, d).df)),
     "betweenness": _betweenness,
     "diameter_sampled": _diameter,
-} | {"cc" if n == "hook_shortcut" else f"cc_{n}": _cc(n) for n in components.VARIANTS if n not in ("label_propagation", "multistep")} | {f"cc_{n}": (lambda f: lambda s, d: f(settle(graphs.geo(s, d))[0]))(components.VARIANTS[n]) for n in ("label_propagation", "multistep")} | {f"profile_{n}": _profile(n) for n in ("cpu_la", "cpu_trav", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
+} | {"cc" if n == "hook_shortcut" else f"cc_{n}": _cc(n) for n in components.VARIANTS if n not in ("label_propagation", "multistep")} | {f"cc_{n}": (lambda f: lambda s, d: f(settle(graphs.geo(s, d))[0]))(components.VARIANTS[n]) for n in ("label_propagation", "multistep")} | {f"profile_{n}": _profile(n) for n in ("cpu_la", "cpu_trav", "cpu_work", "gpu_front", "gpu_shard", "gpu_push", "gpu_lap")}
 
 MEASURES: dict[str, Query] = {
     "touch_counts": _touch,

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..plans.loop import settle
+from ..operators.pieces import positions
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -149,13 +149,7 @@ def complete(spark, n: int) -> DataFrame:
 
 def dense_ids(df: DataFrame, column: str) -> DataFrame:
     """(column, id): positions in sorted order, by range partitions and their offsets."""
-    ordered, _ = settle(df.select(column).distinct().repartitionByRange(column).sortWithinPartitions(column).withColumn("p", F.spark_partition_id()))
-    starts, at = [], 0
-    for p, n in sorted(tuple(r) for r in ordered.groupBy("p").count().collect()):
-        starts.append((p, at))
-        at += n
-    base = F.broadcast(df.sparkSession.createDataFrame(starts or [(0, 0)], "p int, base long"))
-    return ordered.join(base, "p").select(column, (F.col("base") + F.row_number().over(Window.partitionBy("p").orderBy(column)) - 1).alias("id"))
+    return positions(df.select(column).distinct(), column).select(column, F.col("at").alias("id"))
 
 
 def weblink_graph(spark, sf) -> DataFrame:
