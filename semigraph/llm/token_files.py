@@ -16,6 +16,7 @@ from array import array
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -104,22 +105,21 @@ class WordEncoder:
         for token, i in vocabulary.items():
             self.ends[i] = token.endswith("</w>")
 
-    def _words(self, text: str) -> list[str]:
-        # Python's blanks are the library's but for the four separators.
-        if "\x1c" in text or "\x1d" in text or "\x1e" in text or "\x1f" in text:
-            return self.plain_words(text)
+    def _lowered(self, text: str) -> str:
         # Case is dropped anyway; special strings count in their own case only.
         if text.isascii():
             low = text.lower()
             if not any(x in low for x in self.special):
-                text = low
-        return text.split()
+                return low
+        return text
 
     def _ids(self, word: str) -> bytes:
         return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
 
     def _learn(self, fresh: set[str]) -> None:
+        """Fills the cache with new words, many at a call."""
         memo, stops, stopped, plain = self.memo, self.STOPS, [], set()
+        fresh = [word for word in fresh if len(word) <= memo.longest]  # longer ones are not kept, so they cost no memory
         for word in fresh:
             core = word.rstrip(stops)
             if core.lower().isalpha():
@@ -140,28 +140,51 @@ class WordEncoder:
                 at = stop
         for word, core in stopped:
             memo[word] = memo[core] + memo[word[len(core) :]]
+        single = [word for word in fresh if word not in memo]
+        for word, found in zip(single, self.tokenizer.encode_batch_fast(single, add_special_tokens=False), strict=True):
+            memo[word] = array("I", found.ids).tobytes()
 
-    def packed_batch(self, texts: list[str]) -> list[bytes]:
-        lists = [self._words(t) for t in texts]
+    def _known(self, words: list[str]) -> list[bytes]:
+        """Ids of different words; the large cache is asked once for each."""
         memo = self.memo
         memo.turn()
-        older = memo.older
-        # The large cache is asked once for each different word of the batch.
-        here: dict[str, bytes] = {}
+        found = list(map(memo.get, words))
+        missing = [k for k, ids in enumerate(found) if ids is None]
         fresh = set()
-        for word in set().union(*lists):
-            ids = memo.get(word)
-            if ids is None and (ids := older.get(word)) is not None:
-                memo[word] = ids
-            if ids is None:
+        for k in missing:
+            word = words[k]
+            if (ids := memo.older.get(word)) is None:
                 fresh.add(word)
             else:
-                here[word] = ids
+                memo[word] = ids
         self._learn(fresh)
-        for word in fresh:
-            here[word] = memo[word]
-        get = here.__getitem__
-        return [b"".join(map(get, words)) for words in lists]
+        for k in missing:
+            found[k] = memo[words[k]]
+        return found
+
+    def packed_batch(self, texts: list[str]) -> list[bytes]:
+        """Words are split and numbered in Arrow, looked up once each, and their ids gathered by number."""
+        # Arrow's blanks are Python's, and these are the library's but for the four separators.
+        odd = {k: self.packed_odd(t) for k, t in enumerate(texts) if "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t}
+        split = pc.utf8_split_whitespace(pa.array(["" if k in odd else self._lowered(t) for k, t in enumerate(texts)], pa.large_string()))
+        numbered = split.values.dictionary_encode()
+        found = self._known(numbered.dictionary.to_pylist())
+        lengths = np.fromiter(map(len, found), np.int64, len(found)) // 4
+        starts = np.cumsum(lengths) - lengths
+        at = numbered.indices.to_numpy()
+        each = lengths[at]
+        ends = np.concatenate(([0], np.cumsum(each)))
+        places = np.repeat(starts[at] - ends[:-1], each) + np.arange(ends[-1])
+        data = np.frombuffer(b"".join(found), "<u4")[places].tobytes()
+        cuts = (4 * ends[split.offsets.to_numpy()]).tolist()
+        out = [data[a:b] for a, b in zip(cuts, cuts[1:])]
+        for k, packed in odd.items():
+            out[k] = packed
+        return out
+
+    def packed_odd(self, text: str) -> bytes:
+        words = self.plain_words(text)
+        return b"".join(self._known(words))
 
     def packed(self, text: str) -> bytes:
         return self.packed_batch([text])[0]
