@@ -1,4 +1,4 @@
-"""Further uses: projections, colouring by independent sets, local clustering, betweenness of a batch."""
+"""Further uses: projections, colouring by independent sets, matching from seeds, betweenness of a batch."""
 
 from __future__ import annotations
 
@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.algebra import SEMIRINGS
 from ..operators.multiply import mxm
 from ..operators.objects import SparseMatrix
-from ..plans.loop import settle
+from ..plans.loop import settle, written
 
 LANES = 16  # sources in a row of betweenness
 
@@ -43,6 +43,33 @@ def conflicts(edges: DataFrame, colours: DataFrame) -> DataFrame:
     return met.agg(F.count_if(F.col("a") == F.col("b")).alias("clashes")).crossJoin(bare).crossJoin(repeated)
 
 
+def seeded_matching(left: DataFrame, right: DataFrame, seeds: DataFrame, least: int = 2, max_rounds: int = 100) -> DataFrame:
+    """(i, j, round): vertices of two graphs matched outwards from known pairs, seeds (i, j) of round 0.
+
+    A pair's score is the number of matched pairs that its ends are both next to: A P B', a product of the left
+    graph, the matching and the transposed right graph. Each round takes the free pairs that score at least `least`
+    and are the best of their row and of their column (ties: the smaller partner); it ends when there are none.
+    Every matched pair gives (degree of i) * (degree of j) products, summed before the shuffle, and only by pairs
+    matched in the last round: earlier scores are kept."""
+    a, b = (SparseMatrix(e.filter("i <> j").select("i", "j", F.lit(1).cast("long").alias("v"))) for e in (left, right))
+    done, got = settle(seeds.select("i", "j", F.lit(0).alias("round")))
+    fresh, score = done, None
+    for turn in range(1, max_rounds + 1):
+        p = SparseMatrix(fresh.select("i", "j", F.lit(1).cast("long").alias("v")))
+        new = mxm(mxm(a, p, SEMIRINGS["plus_pair"]), b.T, SEMIRINGS["plus_first"]).df
+        both = new if score is None else new.unionByName(score).groupBy("i", "j").agg(F.sum("v").alias("v"))
+        free = both.join(done.select("i"), "i", "left_anti").join(done.select("j"), "j", "left_anti")
+        score, _ = settle(free.select("i", "j", "v"))
+        able = score.filter(F.col("v") >= least)
+        row = able.groupBy("i").agg(F.max_by("j", F.struct("v", -F.col("j"))).alias("j"))
+        column = able.groupBy("j").agg(F.max_by("i", F.struct("v", -F.col("i"))).alias("i"))
+        fresh, got = settle(row.join(column, ["i", "j"]).select("i", "j", F.lit(turn).alias("round")))
+        if not got["n"]:
+            return done
+        done = written(done.unionByName(fresh))
+    return done
+
+
 def betweenness(edges: DataFrame, sources: list[int]) -> DataFrame:
     """(i, v): dependency of the sources' shortest paths on each vertex; the whole betweenness (each pair in both
     directions) if the sources are all vertices. A row holds one vertex's path counts for 16 sources."""

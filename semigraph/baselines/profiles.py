@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 
+from ..algorithms import components, ranking, triangles
 from ..algorithms.traversal import bfs
 from ..operators.objects import SparseMatrix
 from ..plans.direction import AlwaysPull, AlwaysPush, EdgeFractionPolicy, ReferencePolicy, TwoThresholdPolicy, UnvisitedEdgePolicy
@@ -20,6 +21,18 @@ PROFILES = {
     "gpu_lap": {"via_mxm": True},
 }
 
+#: Settings of the other algorithms per profile, of those that a profile's system was compared in.
+SETTINGS = {
+    "reference": {"bfs": PROFILES["reference"], "sssp": {}, "pagerank": {}, "cc": {"sparsified": True}, "tc": {}},
+    "cpu_la": {"bfs": PROFILES["cpu_la"], "sssp": {"sparsified": False}, "pagerank": {}, "tc": {"degree_ordered": True}},
+    "cpu_trav": {"bfs": PROFILES["cpu_trav"], "sssp": {"policy": EdgeFractionPolicy()}, "pagerank": {"f": ranking.pagerank_push}, "cc": {"f": components.label_propagation}, "tc": {"f": triangles.count_search}},
+    "cpu_work": {"bfs": PROFILES["cpu_work"], "sssp": {"policy": UnvisitedEdgePolicy()}, "pagerank": {}, "cc": {"f": components.multistep}, "tc": {"f": triangles.count_search}},
+    "gpu_front": {"bfs": PROFILES["gpu_front"], "sssp": {"policy": AlwaysPush()}, "pagerank": {"f": ranking.pagerank_push}, "cc": {"f": components.edge_filter}, "tc": {"f": triangles.count_search}},
+    "gpu_shard": {"bfs": PROFILES["gpu_shard"], "sssp": {"policy": AlwaysPull(), "sparsified": False}, "pagerank": {"windows": 4}},
+    "gpu_push": {"bfs": PROFILES["gpu_push"], "sssp": {"policy": AlwaysPush()}, "pagerank": {"f": ranking.pagerank_push}},
+    "gpu_lap": {"bfs": PROFILES["gpu_lap"], "tc": {"plan": "multiply_first"}},
+}
+
 #: Which features each system has, as published.
 FEATURES = {
     "direction optimization": ("reference", "cpu_work", "gpu_front", "cpu_trav", "cpu_la"),

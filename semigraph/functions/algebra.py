@@ -58,6 +58,59 @@ BINARY: dict[str, BinaryOp] = {
 }
 
 
+class DomainMismatch(TypeError):
+    pass
+
+
+#: Domains of values and the Spark types that hold them; unsigned ones have the next wider type and a lower bound of 0.
+DOMAINS: dict[str, str] = {
+    "bool": "boolean",
+    "int8": "tinyint",
+    "int16": "smallint",
+    "int32": "int",
+    "int64": "bigint",
+    "uint8": "smallint",
+    "uint16": "int",
+    "uint32": "bigint",
+    "uint64": "decimal(20,0)",
+    "fp32": "float",
+    "fp64": "double",
+}
+ARITHMETIC = ("plus", "minus", "rminus", "times", "div", "rdiv")
+
+
+def into(c: Column, domain: str) -> Column:
+    """A value in a domain; what does not fit (a sum that is too large, a negative value in an unsigned domain) is null,
+    and so no entry."""
+    if domain not in DOMAINS:
+        raise DomainMismatch(f"no domain {domain}")
+    got = c.try_cast(DOMAINS[domain])
+    if not domain.startswith("uint"):
+        return got
+    most = F.lit(str((1 << int(domain[4:])) - 1)).cast("decimal(20,0)")
+    return F.when((got >= 0) & (got <= most), got)
+
+
+def typed(op: BinaryOp, domain: str) -> BinaryOp:
+    """An operator whose operands and result are of one domain (results of comparisons and logical ones are Boolean).
+    Integers meet in a type wide enough for any result, but for division, which is real until it is cast back."""
+    if domain not in DOMAINS:
+        raise DomainMismatch(f"no domain {domain}")
+    if domain == "bool" and op.name in ARITHMETIC:
+        raise DomainMismatch(f"{op.name} of Boolean values")
+    wide = {"int64": "decimal(19,0)", "uint64": "decimal(20,0)", "uint32": "decimal(10,0)"}.get(domain, "bigint" if "int" in domain else None)
+
+    def run(a: Column, b: Column) -> Column:
+        a, b = into(a, domain), into(b, domain)
+        if wide is not None and op.name in ARITHMETIC:
+            kind = "double" if op.name in ("div", "rdiv") else wide
+            a, b = a.cast(kind), b.cast(kind)
+        made = op.apply(a, b)
+        return made if op.result == "boolean" else made.cast("bigint") if op.result == "long" else into(made, domain)
+
+    return BinaryOp(f"{op.name}_{domain}", run, op.result, op.uses_left, op.uses_right)
+
+
 @dataclass(frozen=True)
 class Monoid:
     """An associative operator with its identity: as an aggregate, and between two columns."""
@@ -113,5 +166,6 @@ SEMIRINGS: dict[str, Semiring] = {
         Semiring("min_first", MONOIDS["min"], BINARY["first"]),
         Semiring("plus_pair", MONOIDS["plus"], BINARY["pair"]),
         Semiring("plus_second", MONOIDS["plus"], BINARY["second"]),
+        Semiring("plus_first", MONOIDS["plus"], BINARY["first"]),
     )
 }

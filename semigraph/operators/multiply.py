@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -12,6 +14,8 @@ from .objects import Descriptor, DimensionMismatch, GraphVector, SparseMatrix
 BROADCAST_ENTRIES = 2_000_000
 #: Mean row length at which products with tall matrices change from nonzero split to row split.
 ROW_SPLIT_FROM = 9.35
+#: Columns of a right operand that one row of a plan can hold side by side.
+DENSE_WIDTH = 64
 
 
 def _small(x: GraphVector) -> DataFrame:
@@ -146,14 +150,14 @@ def mxv(a: SparseMatrix, x: GraphVector, semiring: Semiring, mask: GraphVector |
 
 
 def vxm(x: GraphVector, a: SparseMatrix, semiring: Semiring, mask: GraphVector | None = None, desc: Descriptor = Descriptor(), out: GraphVector | None = None) -> GraphVector:
-    flipped = Semiring(semiring.name, semiring.add, _turned(semiring.mul))
-    return mxv(a.T, x, flipped, mask, desc, out)
-
+    return mxv(a.T, x, flipped(semiring), mask, desc, out)
 
-def _turned(op):
-    from dataclasses import replace
 
-    return replace(op, apply=lambda a, b: op.apply(b, a), uses_left=op.uses_right, uses_right=op.uses_left)
+def flipped(semiring: Semiring) -> Semiring:
+    """The semiring whose product takes its operands the other way round."""
+    op = semiring.mul
+    turned = replace(op, apply=lambda a, b: op.apply(b, a), uses_left=op.uses_right, uses_right=op.uses_left)
+    return Semiring(semiring.name, semiring.add, turned)
 
 
 def mxv_via_mxm(a: SparseMatrix, x: GraphVector, semiring: Semiring) -> GraphVector:
@@ -189,18 +193,48 @@ def mxm(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, mask: SparseMatrix
     chosen = None if mask is None else mask.selected(desc.mask_structural)
     if countable and plan != "multiply_first":
         return _row_dot(a, b, chosen)
-    if chosen is not None and plan == "mask_first" and not desc.mask_complement:
-        made = _selected_products(a, b, semiring, chosen)
-    else:
-        made = wedges(a, b, semiring)
-        if chosen is not None and plan == "mask_first":
-            made = made.join(chosen, ["i", "j"], "left_anti")
+    made = products(a, b, semiring, mask if plan == "mask_first" else None, desc)
     out = made.groupBy("i", "j").agg(semiring.add.aggregate(F.col("p")).alias("v"))
     if chosen is not None and plan == "multiply_first":
         out = out.join(chosen, ["i", "j"], "left_anti" if desc.mask_complement else "left_semi")
     return SparseMatrix(out, a.nrows, b.ncols)
 
 
+def products(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, mask: SparseMatrix | None = None, desc: Descriptor = Descriptor()) -> DataFrame:
+    """(i, j, p): one row per product of A B at the positions that the mask allows, not yet summed."""
+    if mask is None:
+        return wedges(a, b, semiring)
+    chosen = mask.selected(desc.mask_structural)
+    if desc.mask_complement:
+        return wedges(a, b, semiring).join(chosen, ["i", "j"], "left_anti")
+    return _selected_products(a, b, semiring, chosen)
+
+
+def mxm_directed(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, direction: str = "auto") -> SparseMatrix:
+    """C = A B with the right side as a sparse or as a dense operand. auto: dense where more than a tenth of its
+    positions are stored and its rows are at most DENSE_WIDTH wide, as both sizes are known then; else sparse.
+
+    dense: each entry of A meets one row of B as an array, and positions of a row are summed side by side, so one row
+    is shuffled per entry of A at most, not one per product. Positions that B does not store stay out of C."""
+    if a.ncols is not None and b.nrows is not None and a.ncols != b.nrows:
+        raise DimensionMismatch(f"{a.ncols} columns, {b.nrows} rows")
+    if direction == "auto":
+        narrow = b.ncols is not None and b.nrows is not None and b.ncols <= DENSE_WIDTH
+        direction = "dense" if narrow and b.nvals() * 10 > b.nrows * b.ncols else "sparse"
+    if direction == "sparse":
+        return mxm(a, b, semiring)
+    if direction != "dense" or b.ncols is None or b.ncols > DENSE_WIDTH:
+        raise ValueError(f"no direction {direction} for rows of {b.ncols}")
+    width, mul = range(b.ncols), semiring.mul
+    rows = b.df.groupBy(F.col("i").alias("k")).agg(*[F.max(F.when(F.col("j") == c, F.col("v"))).alias(f"b{c}") for c in width])
+    met = a.df.select("i", F.col("j").alias("k"), "v").join(rows, "k")
+    sums = [semiring.add.aggregate(F.when(F.col(f"b{c}").isNotNull(), mul(F.col("v"), F.col(f"b{c}")))).alias(f"s{c}") for c in width]
+    some = [F.count(f"b{c}").alias(f"n{c}") for c in width]
+    cells = F.array(*[F.struct(F.lit(c).cast("long").alias("j"), F.col(f"s{c}").alias("v"), F.col(f"n{c}").alias("n")) for c in width])
+    out = met.groupBy("i").agg(*sums, *some).select("i", F.explode(cells).alias("e"))
+    return SparseMatrix(out.filter("e.n > 0").select("i", "e.j", "e.v"), a.nrows, b.ncols)
+
+
 def _selected_products(a: SparseMatrix, b: SparseMatrix, semiring: Semiring, chosen: DataFrame) -> DataFrame:
     """Products of selected positions only: (i, j) meets the entries (i, k) of A, and each looks (k, j) up in B."""
     mul = semiring.mul

@@ -11,6 +11,9 @@ from ..functions.algebra import BinaryOp, Monoid
 from ..plans.loop import settle
 from .objects import GraphVector, SparseMatrix
 
+#: Entries of the blocks of a Kronecker product.
+BLOCK_ENTRIES = 100_000
+
 
 def _keys(a) -> list[str]:
     return ["i"] if isinstance(a, GraphVector) else ["i", "j"]
@@ -97,6 +100,19 @@ def extract(a: SparseMatrix, rows: DataFrame, cols: DataFrame) -> SparseMatrix:
     return SparseMatrix(a.df.join(r, "i").join(c, "j").select(F.col("ri").alias("i"), F.col("cj").alias("j"), "v"))
 
 
+def extract_vector(u: GraphVector, places: DataFrame) -> GraphVector:
+    """places: (id, at) list of indices with their new positions; an index may be listed more than once."""
+    return GraphVector(u.df.join(places.select(F.col("id").alias("i"), "at"), "i").select(F.col("at").alias("i"), "v"))
+
+
+def extract_row(a: SparseMatrix, i: int) -> GraphVector:
+    return GraphVector(a.df.filter(F.col("i") == i).select(F.col("j").alias("i"), "v"), a.ncols)
+
+
+def extract_column(a: SparseMatrix, j: int) -> GraphVector:
+    return GraphVector(a.df.filter(F.col("j") == j).select("i", "v"), a.nrows)
+
+
 def gather(u: GraphVector, index: GraphVector) -> GraphVector:
     """w(i) = u(index(i)): the index vector's values are indices."""
     return GraphVector(index.df.select("i", F.col("v").alias("k")).join(u.df.select(F.col("i").alias("k"), "v"), "k").select("i", "v"), index.size)
@@ -128,6 +144,41 @@ def assign(w: GraphVector, what, mask: GraphVector | None = None, complement: bo
     return GraphVector(rest.unionByName(new), w.size)
 
 
+def assign_list(w: GraphVector, u: GraphVector, places: DataFrame) -> GraphVector:
+    """w with u(at) at index id for each (id, at) of the list; a listed index that u does not store loses its entry."""
+    new = places.join(u.df.select(F.col("i").alias("at"), "v"), "at").select(F.col("id").alias("i"), "v")
+    rest = w.df.join(places.select(F.col("id").alias("i")), "i", "left_anti")
+    return GraphVector(rest.unionByName(new), w.size)
+
+
+def assign_sub(c: SparseMatrix, a: SparseMatrix, rows: DataFrame, cols: DataFrame) -> SparseMatrix:
+    """c with a(ar, ac) at (id, id) for each pair of listed rows and columns (id, at); listed positions that a does not
+    store lose their entries. The lists meet c's and a's entries one after the other, never each other."""
+    r, k = rows.select(F.col("id").alias("i"), F.col("at").alias("ri")), cols.select(F.col("id").alias("j"), F.col("at").alias("cj"))
+    new = a.df.select(F.col("i").alias("ri"), F.col("j").alias("cj"), "v").join(r, "ri").join(k, "cj").select("i", "j", "v")
+    within = c.df.join(r.select("i", F.lit(True).alias("r")), "i", "left").join(k.select("j", F.lit(True).alias("k")), "j", "left")
+    rest = within.filter("r is null or k is null").select("i", "j", "v")
+    return SparseMatrix(rest.unionByName(new), c.nrows, c.ncols)
+
+
+def kronecker(a: SparseMatrix, b: SparseMatrix, op: BinaryOp) -> SparseMatrix:
+    """Every entry of a times the whole of b, in blocks of b's shape. The result has nvals(a) * nvals(b) entries; one of
+    the sides meets the other as a whole, so it must be small: b is checked."""
+    if b.nrows is None or b.ncols is None:
+        raise ValueError("the blocks need a size")
+    if b.nvals() > BLOCK_ENTRIES:
+        raise ValueError(f"blocks of more than {BLOCK_ENTRIES} entries")
+    small = F.broadcast(b.df.select(F.col("i").alias("bi"), F.col("j").alias("bj"), F.col("v").alias("x")))
+    made = a.df.crossJoin(small).select((F.col("i") * b.nrows + F.col("bi")).alias("i"), (F.col("j") * b.ncols + F.col("bj")).alias("j"), op(F.col("v"), F.col("x")).alias("v"))
+    return SparseMatrix(made, a.nrows and a.nrows * b.nrows, a.ncols and a.ncols * b.ncols)
+
+
+def arg_rows(a: SparseMatrix, most: bool = True) -> GraphVector:
+    """The column of each row's largest (or smallest) value, the smaller column on ties."""
+    best = F.max_by("j", F.struct("v", -F.col("j"))) if most else F.min_by("j", F.struct("v", "j"))
+    return GraphVector(a.df.groupBy("i").agg(best.alias("v")), a.nrows)
+
+
 def degree_relabel(a: SparseMatrix) -> DataFrame:
     """(id, at): positions by (degree, id), from a range sort over both (so that a degree which most vertices share is
     split) and the offsets of its parts."""

@@ -39,10 +39,10 @@ def reach(edges: str, name: str, keep: str = "") -> str:
 SELECT i, min(k) v FROM rc {keep} GROUP BY i"""
 
 
-def pagerank(rounds: int, tail: str = "SELECT i, round(v, 9) v FROM p{k}") -> str:
-    parts = [COP, "deg AS (SELECT i, count(*) d FROM cop GROUP BY 1)", "n AS (SELECT count(*)::DOUBLE n FROM part)", "p0 AS (SELECT p_partkey i, 1 / (SELECT n FROM n) v FROM part)"]
+def pagerank(rounds: int, tail: str = "SELECT i, round(v, 9) v FROM p{k}", edges: str = COP, name: str = "cop", vertices: str = "SELECT p_partkey i FROM part") -> str:
+    parts = [edges, f"vs AS ({vertices})", f"deg AS (SELECT i, count(*) d FROM {name} GROUP BY 1)", "n AS (SELECT count(*)::DOUBLE n FROM vs)", "p0 AS (SELECT i, 1 / (SELECT n FROM n) v FROM vs)"]
     for k in range(rounds):
-        parts.append(f"""y{k} AS (SELECT cop.j i, sum(p.v / d) y FROM cop JOIN p{k} p ON p.i = cop.i JOIN deg ON deg.i = cop.i GROUP BY 1),
+        parts.append(f"""y{k} AS (SELECT e.j i, sum(p.v / d) y FROM {name} e JOIN p{k} p ON p.i = e.i JOIN deg ON deg.i = e.i GROUP BY 1),
 h{k} AS (SELECT coalesce(sum(v), 0) h FROM p{k} p WHERE NOT EXISTS (SELECT 1 FROM deg WHERE deg.i = p.i)),
 p{k + 1} AS (SELECT p.i, 0.15 / (SELECT n FROM n) + 0.85 * (coalesce(y, 0) + (SELECT h FROM h{k}) / (SELECT n FROM n)) v FROM p{k} p LEFT JOIN y{k} y ON y.i = p.i)""")
     return "WITH " + ", ".join(parts) + " " + tail.format(k=rounds)
@@ -239,3 +239,127 @@ SQL |= {
     "sql_bfs": "SELECT * FROM (VALUES (5::BIGINT, 1::BIGINT), (0, 2), (2, 2), (3, 2), (4, 3), (7, 3), (1, 4), (6, 4)) t(i, v)",
     "masked_product_suite": f"WITH {COP2}, {CHAIN} " + low_product("copurchase2", "cop2") + " UNION ALL " + low_product("userchain", "chain"),
 }
+
+
+def distances(name: str, edges: str, rounds: int) -> str:
+    """Relaxing rounds from vertex 0 over weighted edges, written out: CTEs name_0 .. name_rounds."""
+    w = f"{name}_w AS (SELECT i, j, (least(i, j) * 31 + greatest(i, j) * 17) % 64 + 1 v FROM {edges})"
+    parts = [w, f"{name}_0 AS MATERIALIZED (SELECT 0::BIGINT i, 0::BIGINT v)"]
+    for k in range(rounds):
+        parts.append(f"{name}_{k + 1} AS MATERIALIZED (SELECT i, min(v) v FROM (SELECT i, v FROM {name}_{k} UNION ALL SELECT w.j, d.v + w.v FROM {name}_{k} d JOIN {name}_w w ON w.i = d.i) GROUP BY 1)")
+    return ", ".join(parts)
+
+
+def depths(name: str, edges: str, rounds: int) -> str:
+    """Levels from vertex 0, written out."""
+    parts = [f"{name}_0 AS MATERIALIZED (SELECT 0::BIGINT i, 1::BIGINT v)"]
+    for k in range(rounds):
+        parts.append(f"{name}_{k + 1} AS MATERIALIZED (SELECT i, min(v) v FROM (SELECT i, v FROM {name}_{k} UNION ALL SELECT e.j, {k + 2} FROM {name}_{k} d JOIN {edges} e ON e.i = d.i WHERE d.v = {k + 1}) GROUP BY 1)")
+    return ", ".join(parts)
+
+
+RGG = SQL["rgg_graph"].removeprefix("WITH ").replace("SELECT u.id i", "rgg AS (SELECT u.id i").replace("\nrgg", ",\nrgg") + ")"
+WORKED = "worked AS (SELECT split_part(e, '-', 1)::BIGINT i, split_part(e, '-', 2)::BIGINT j FROM (SELECT unnest(string_split('5-0 5-2 5-3 0-2 0-4 0-5 2-5 2-7 3-2 3-4 3-7 4-1 4-6 7-6 7-4 7-3 6-1 6-5 1-6 1-0', ' ')) e))"
+WEBGRAPH = WEB + ", h AS (SELECT href, row_number() OVER (ORDER BY href) + 999999 id FROM (SELECT DISTINCT href FROM web)), wg AS (SELECT page_id i, id j FROM web JOIN h USING (href) UNION ALL SELECT id, page_id FROM web JOIN h USING (href))"
+#: Graphs of the suites: edges as SQL, name of the edges, rounds that reach every vertex and settle every distance.
+SUITE = {"rmat8": (rmat(8, 64), "rmat", 14), "rmat9": (rmat(9, 32), "rmat", 14), "rmat10": (rmat(10, 16), "rmat", 16), "rgg": (RGG, "rgg", 40), "geo": (GEO, "geo", 8)}
+ALL_DEPTHS = SUITE | {"grid": (GRID, "grid", 40), "worked": (WORKED, "worked", 8)}
+
+
+def facts(name: str, made: str, columns: str) -> str:
+    edges, of, rounds = ALL_DEPTHS[name]
+    maker = {"depths": depths, "distances": distances}[made]
+    return f"SELECT * FROM (WITH {edges}, {maker('t', of, rounds)} SELECT '{name}' graph, {columns} FROM t_{rounds})"
+
+
+REACHED = "count(*)::BIGINT reached, sum(v)::BIGINT total"
+R8, R10 = rmat(8), rmat(10)
+ANSWERS = f"""SELECT 'bfs' algorithm, x answer FROM (WITH {R8}, {depths("t", "rmat", 14)} SELECT sum(v)::DOUBLE x FROM t_14)
+UNION ALL SELECT 'sssp', x FROM (WITH {R8}, {distances("t", "rmat", 14)} SELECT sum(v)::DOUBLE x FROM t_14)
+UNION ALL SELECT 'pagerank', x FROM ({pagerank(5, "SELECT round(max(v), 6) x FROM p{k}", R8, "rmat", "SELECT DISTINCT i FROM rmat")})
+UNION ALL SELECT 'cc', x FROM (SELECT sum(v)::DOUBLE x FROM ({reach(R8, "rmat")}))
+UNION ALL SELECT 'tc', x FROM (WITH {R8} SELECT triangles::DOUBLE x FROM ({triangles_of("rmat", "rmat")}))"""
+
+
+def _pairs(column: str, of: dict[str, str]) -> str:
+    """Answers by algorithm, once for each name that an algorithm is listed under."""
+    named = " UNION ALL ".join(f"SELECT '{a}' algorithm, '{n}' {column}" for a, names in of.items() for n in names.split(","))
+    return f"SELECT {column}, algorithm, answer FROM ({named}) JOIN ({ANSWERS}) USING (algorithm)"
+
+
+SQL |= {
+    "bfs_suite": " UNION ALL ".join(facts(n, "depths", REACHED) for n in [*SUITE, "grid"]),
+    "sssp_suite": " UNION ALL ".join(facts(n, "distances", REACHED) for n in SUITE),
+    "product_suite": " UNION ALL ".join(facts(n, "depths", "sum(v)::BIGINT masked, sum(v)::BIGINT by_product") for n in [*SUITE, "worked"]),
+    "pagerank_suite": " UNION ALL ".join(f"SELECT '{n}' graph, * FROM ({pagerank(5, 'SELECT round(max(v), 6) most, round(sum(v * v), 6) spread FROM p{k}', e, of, f'SELECT DISTINCT i FROM {of}')})" for n, (e, of, _) in SUITE.items()),
+    "pagerank_weblink_k": pagerank(10, edges=WEBGRAPH, name="wg", vertices="SELECT DISTINCT i FROM wg"),
+    "parallelism_suite": f"SELECT policy, parts, reached, total FROM (VALUES ('edge_fraction', 2::BIGINT), ('edge_fraction', 4), ('two_thresholds', 2), ('two_thresholds', 4)) t(policy, parts), ({facts('rmat10', 'depths', REACHED)})",
+    "ablation_suite": _pairs("toggle", {"bfs": "all,no mask,no operand reuse,early exit,push only,pull only", "sssp": "all,no sparsification,push only,pull only", "pagerank": "all,windows", "cc": "all,no sparsification,full jump", "tc": "all,multiply first,degree order"}),
+    "profile_suite": _pairs(
+        "profile",
+        {
+            "bfs": "reference,cpu_la,cpu_trav,cpu_work,gpu_front,gpu_shard,gpu_push,gpu_lap",
+            "sssp": "reference,cpu_la,cpu_trav,cpu_work,gpu_front,gpu_shard,gpu_push",
+            "pagerank": "reference,cpu_la,cpu_trav,cpu_work,gpu_front,gpu_shard,gpu_push",
+            "cc": "reference,cpu_trav,cpu_work,gpu_front",
+            "tc": "reference,cpu_la,cpu_trav,cpu_work,gpu_front,gpu_lap",
+        },
+    ),
+    "extract_vector": f"WITH {VEC} SELECT i // 2 i, v FROM x WHERE i % 2 = 0 AND i < 100",
+    "extract_row": f"WITH {COP} SELECT j i, v FROM cop WHERE i = 3",
+    "extract_column": f"WITH {CUSTPART} SELECT i, v FROM cp WHERE j = 3",
+    "assign_list": "WITH p AS (SELECT p_partkey i FROM part) SELECT i, i % 5 + 1 v FROM p WHERE i % 3 = 0 AND NOT (i % 5 = 0 AND i < 100) UNION ALL SELECT i * 5, i % 5 + 1 FROM p WHERE i % 2 = 0 AND i * 5 < 100",
+    "assign_sub": f"WITH {COP2} SELECT i, j, v FROM cop WHERE NOT (i % 2 = 0 AND i < 100 AND j % 3 = 0 AND j < 90) UNION ALL SELECT i * 2, j * 3, v FROM cop2 WHERE i * 2 < 100 AND j * 3 < 90",
+    "kronecker": f"WITH {COP2}, {WORKED} SELECT a.i * 8 + b.i i, a.j * 8 + b.j j, a.v FROM cop2 a, worked b",
+    "arg_rows": f"WITH {COP} SELECT i, arg_max(j, (v, -j)) v FROM cop GROUP BY 1",
+    "arg_rows_least": f"WITH {COP} SELECT i, arg_min(j, (v, j)) v FROM cop GROUP BY 1",
+    "mxm_dense_side": f"WITH {CUSTPART} SELECT i, k j, sum(v * ((j * (k + 3)) % 7))::BIGINT v FROM cp, (SELECT unnest(range(4)) k) GROUP BY 1, 2",
+    "lazy_triangles": TRI,
+    "lazy_mxv": f"WITH {COP}, {VEC}, {MASK} SELECT cop.i, (3 * sum(cop.v * x.v) + 1)::BIGINT v FROM cop JOIN x ON x.i = cop.j WHERE cop.i IN (SELECT i FROM m) GROUP BY 1",
+    "udf_semiring": MXV + " GROUP BY 1",
+    "udtf_neighbours": f"WITH {COP2} SELECT i, j FROM cop2",
+    "binary_ops": "WITH q AS (SELECT p_partkey % 5 + 1 a, p_partkey % 3 b FROM part) "
+    + " UNION ALL ".join(
+        f"SELECT '{n}' op, round(sum(({e})::DOUBLE), 6) v FROM q"
+        for n, e in {
+            "first": "a",
+            "second": "b",
+            "pair": "1",
+            "any": "a",
+            "min": "least(a, b)",
+            "max": "greatest(a, b)",
+            "plus": "a + b",
+            "minus": "a - b",
+            "rminus": "b - a",
+            "times": "a * b",
+            "div": "CASE WHEN b <> 0 THEN a / b END",
+            "rdiv": "b / a",
+            "eq": "(a = b)::INT",
+            "ne": "(a <> b)::INT",
+            "gt": "(a > b)::INT",
+            "lt": "(a < b)::INT",
+            "ge": "(a >= b)::INT",
+            "le": "(a <= b)::INT",
+            "lor": "(a <> 0 OR b <> 0)::INT",
+            "land": "(a <> 0 AND b <> 0)::INT",
+            "lxor": "((a <> 0) <> (b <> 0))::INT",
+            "lxnor": "((a <> 0) = (b <> 0))::INT",
+        }.items()
+    ),
+    "typed_plus": " UNION ALL ".join(
+        f"SELECT '{n}' AS domain, count(v)::BIGINT n, max(v)::DOUBLE most FROM (SELECT unnest([CASE WHEN a + b <= {top} THEN a + b END, CASE WHEN a - b >= {low} THEN a - b END]) v FROM (SELECT p_partkey a, p_partkey * 2 b FROM part) WHERE b <= {top})"
+        for n, low, top in (
+            ("int8", -128, 127),
+            ("int16", -32768, 32767),
+            ("int32", -2147483648, 2147483647),
+            ("int64", -(2**62), 2**62),
+            ("uint8", 0, 255),
+            ("uint16", 0, 65535),
+            ("uint32", 0, 4294967295),
+            ("uint64", 0, 2**62),
+            ("fp32", -(2**62), 2**62),
+            ("fp64", -(2**62), 2**62),
+        )
+    ),
+}
+SQL["mxm_directed"] = SQL["mxm_dense_side"]

@@ -9,10 +9,11 @@ from pyspark.sql import functions as F
 
 from . import oracles
 from .algorithms import components, extras, ranking, traversal, triangles
-from .functions.algebra import BINARY, MONOIDS, SEMIRINGS, Semiring
+from .functions import custom
+from .functions.algebra import BINARY, DOMAINS, MONOIDS, SEMIRINGS, Semiring, typed
 from .operators import multiply, pieces
 from .operators.objects import Descriptor, GraphVector, SparseMatrix
-from .plans import cost, direction, experiments
+from .plans import cost, direction, experiments, lazy, suites
 from .plans.loop import Trace, kept, settle
 from .relational import surface
 from .sources import graphs
@@ -163,6 +164,61 @@ def _profile(name: str) -> Query:
     return lambda s, d: profiles.bfs_with(name, _matrix(s, d), 0).select("i", F.col("v").cast("long").alias("v"))
 
 
+def _places(s, n: int, step: int) -> DataFrame:
+    """(id, at): every step-th index below n, and the indices from 0 on."""
+    return s.range(0, n, step).select("id", (F.col("id") / step).cast("long").alias("at"))
+
+
+def _binary_ops(s, d) -> DataFrame:
+    """(op, v): every operator over two values of each part, summed (Boolean results count)."""
+    p = graphs.table(s, d, "part").select((F.col("p_partkey") % 5 + 1).alias("a"), (F.col("p_partkey") % 3).alias("b"))
+    sums = [F.struct(F.lit(n).alias("op"), F.round(F.sum((o(F.col("a"), F.col("b"))).cast("double")), 6).alias("v")) for n, o in BINARY.items()]
+    return p.agg(F.array(*sums).alias("r")).select(F.explode("r").alias("r")).select("r.*")
+
+
+def _typed_plus(s, d) -> DataFrame:
+    """(domain, n, most): sums and differences of part keys in each numeric domain: how many fit, and the largest."""
+    rows, p = [], graphs.table(s, d, "part").select(F.col("p_partkey").alias("a"), (F.col("p_partkey") * 2).alias("b"))
+    for domain in DOMAINS:
+        if domain != "bool":
+            both = p.select(F.explode(F.array(*[typed(BINARY[o], domain)(F.col("a"), F.col("b")).cast("double") for o in ("plus", "minus")])).alias("v"))
+            rows.append(both.agg(F.count("v").alias("n"), F.max("v").alias("most")).select(F.lit(domain).alias("domain"), "n", "most"))
+    return suites._all(rows)
+
+
+def _tall_matrix(s, d) -> SparseMatrix:
+    """Four stored columns a part."""
+    e = _tall(s, d).select("i", F.posexplode("vals").alias("j", "v")).select("i", F.col("j").cast("long").alias("j"), "v")
+    return SparseMatrix(e, graphs.table(s, d, "part").count(), 4)
+
+
+def _directed(how: str) -> Query:
+    return lambda s, d: multiply.mxm_directed(SparseMatrix(graphs.custpart(s, d)), _tall_matrix(s, d), PT, how).df
+
+
+def _lazy_triangles(s, d) -> DataFrame:
+    low = triangles.lower(_edges(s, d))
+    a = lazy.stored(low, ones=True)
+    return a.mxm(a.T, PT).mask(a).reduce(MONOIDS["plus"]).wait().select(F.col("v").cast("long").alias("triangles"))
+
+
+def _lazy_mxv(s, d) -> DataFrame:
+    a, x = lazy.stored(_matrix(s, d)), lazy.stored(_vector(s, d))
+    return x.scale(3).vxm(a.T, PT).apply(lambda c: c + 1).mask(lazy.stored(_mask(s, d))).wait()
+
+
+def _matching(s, d) -> DataFrame:
+    """Co-purchases of at least two orders against the same graph with other numbers, from every fifth part on."""
+    e = _low2(s, d).df
+    other = e.select((F.col("i") * 2 + 1).alias("i"), (F.col("j") * 2 + 1).alias("j"))
+    seeds = e.filter("i % 5 = 0").select("i", (F.col("i") * 2 + 1).alias("j")).distinct()
+    return extras.seeded_matching(e, other, seeds).select("i", "j", F.col("round").cast("long").alias("round"))
+
+
+def _custom_mxv(s, d) -> DataFrame:
+    return custom.mxv_custom(_matrix(s, d), _vector(s, d), custom.product_of("times", lambda a, b: a * b), lambda p: int(p.sum())).df
+
+
 OPERATIONS: dict[str, Query] = {
     "build_dup": lambda s, d: SparseMatrix.build(graphs.table(s, d, "lineitem").select(F.col("l_suppkey").alias("i"), F.col("l_partkey").alias("j"), F.col("l_linenumber").cast("long").alias("v"))).df,
     "nvals": lambda s, d: s.createDataFrame([(_matrix(s, d).nvals(),)], "n long"),
@@ -175,6 +231,23 @@ OPERATIONS: dict[str, Query] = {
     "ewise_rank_col": lambda s, d: pieces.ewise_rank(_low2(s, d), _vector(s, d, 2), BINARY["plus"], "col").df,
     "ewise_rank_scalar": lambda s, d: pieces.ewise_scalar(_low2(s, d), 10, BINARY["times"]).df.select("i", "j", F.col("v").cast("long").alias("v")),
     "extract_sub": lambda s, d: pieces.extract(_matrix(s, d), s.range(0, 100, 2).select("id", (F.col("id") / 2).cast("long").alias("at")), s.range(0, 90, 3).select("id", (F.col("id") / 3).cast("long").alias("at"))).df,
+    "extract_vector": lambda s, d: pieces.extract_vector(_vector(s, d), _places(s, 100, 2)).df,
+    "extract_row": lambda s, d: pieces.extract_row(_matrix(s, d), 3).df,
+    "extract_column": lambda s, d: pieces.extract_column(SparseMatrix(graphs.custpart(s, d)), 3).df,
+    "assign_list": lambda s, d: pieces.assign_list(_vector(s, d, 3), _vector(s, d, 2), _places(s, 100, 5)).df,
+    "assign_sub": lambda s, d: pieces.assign_sub(_matrix(s, d), _low2(s, d), _places(s, 100, 2), _places(s, 90, 3)).df,
+    "kronecker": lambda s, d: pieces.kronecker(_low2(s, d), _running(s), BINARY["times"]).df,
+    "arg_rows": lambda s, d: pieces.arg_rows(_matrix(s, d)).df,
+    "arg_rows_least": lambda s, d: pieces.arg_rows(_matrix(s, d), most=False).df,
+    "binary_ops": _binary_ops,
+    "typed_plus": _typed_plus,
+    "mxm_dense_side": _directed("dense"),
+    "mxm_directed": _directed("auto"),
+    "lazy_triangles": _lazy_triangles,
+    "lazy_mxv": _lazy_mxv,
+    "udf_semiring": _custom_mxv,
+    "udtf_neighbours": lambda s, d: custom.expand(_low2(s, d).packed_rows().select("i", "cols")),
+    "seeded_matching": _matching,
     "gather": lambda s, d: pieces.gather(_vector(s, d), GraphVector(_vertices(s, d).withColumn("v", F.col("i") * 7 % 200))).df,
     "scatter_min": lambda s, d: pieces.scatter(GraphVector(_vertices(s, d).withColumn("v", F.col("i") * 7 % 50)), _vector(s, d), MONOIDS["min"]).df,
     "assign_const": lambda s, d: pieces.assign(_vector(s, d), 9).df,
@@ -292,7 +365,7 @@ STREAMS: dict[str, Query] = {
 
 
 def queries() -> dict[str, Query]:
-    return OPERATIONS | ALGORITHMS | MEASURES | GRAPHS | STREAMS | {k: getattr(experiments, k) for k in experiments.KEYS} | {k: getattr(surface, k) for k in surface.KEYS}
+    return OPERATIONS | ALGORITHMS | MEASURES | GRAPHS | STREAMS | {k: getattr(experiments, k) for k in experiments.KEYS} | {k: getattr(suites, k) for k in suites.KEYS} | {k: getattr(surface, k) for k in surface.KEYS}
 
 
 def oracle_sql() -> dict[str, str]:
