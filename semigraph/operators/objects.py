@@ -11,6 +11,10 @@ from ..functions.algebra import MONOIDS, Monoid
 from ..plans.loop import covered, marks
 
 
+#: Ranges are filtered by while they cover at most one part in this many of all indices.
+RANGES_UNDER = 4
+
+
 class DimensionMismatch(ValueError):
     pass
 
@@ -148,8 +152,10 @@ class SparseMatrix:
 
     def within(self, ranges: list[tuple[int, int]] | None, axis: str = "i") -> SparseMatrix:
         """Entries whose index lies in one of the closed ranges (None: all). On a matrix stored in order of that axis
-        the scan skips cached batches and row groups whose bounds miss every range."""
-        if ranges is None:
+        the scan skips cached batches and row groups whose bounds miss every range. Ranges that cover more than a quarter
+        of the indices are left out: they skip little, and every row that is read pays for their comparisons."""
+        size = self.nrows if axis == "i" else self.ncols
+        if ranges is None or size and sum(high - low + 1 for low, high in ranges) * RANGES_UNDER > size:
             return self
         keep = F.lit(False)
         for low, high in ranges:

@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 BLOCKS = 1 << 15  # bits of the bitmap that Spark's aggregate makes
-INTERVALS = 32  # ranges of a scan's filter
+INTERVALS = 6  # ranges of a scan's filter: each round compiles them anew and every row read is compared with them
 
 
 def ensure_folder(spark) -> None:
