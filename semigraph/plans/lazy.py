@@ -217,6 +217,10 @@ def _one(node: Lazy, x: list, args: dict):
         case "mxm":
             return multiply.mxm(x[0], x[1], args["semiring"], args.get("mask"), desc=desc)
         case "product_total":
+            ring, mask = args["semiring"], args.get("mask")
+            if ring.add.name == "plus" and ring.mul.name == "pair" and mask is not None and not desc.mask_complement:
+                # Products that are all 1 are counted where they are made.
+                return multiply.mxm(x[0], x[1], ring, mask, desc=desc).df.agg(ring.add.total(F.col("v")).alias("v"))
             made = multiply.products(x[0], x[1], args["semiring"], args.get("mask"), desc)
             return made.agg(args["semiring"].add.total(F.col("p")).alias("v"))
         case "mask":
