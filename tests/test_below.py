@@ -19,7 +19,7 @@ def test_lower_half_of_odd_orders(spark, tmp_path):
     assert sorted(map(tuple, graphs.copurchase_below(spark, str(tmp_path)).collect())) == want == [(5, 3, 2), (9, -2, 1), (9, 3, 1), (9, 5, 1)]
 
 
-@pytest.mark.parametrize("name", "tc tc_row_dot tc_multiply_first tc_fused tc_bitmap tc_binary_search".split())
+@pytest.mark.parametrize("name", "tc tc_row_dot tc_multiply_first tc_fused tc_bitmap tc_binary_search triangle_suite".split())
 def test_counts_lay_out_one_half(spark, name):
     loop._KEPT.clear()
     queries.queries()[name](spark, SF).collect()
